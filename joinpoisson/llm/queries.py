@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from joinpoisson.llm import exact_dedup, line_dedup, mixing, sentencepiece_codec, sharding, toxicity, url_filter
+from joinpoisson.llm import exact_dedup, line_dedup, minhash_dedup, mixing, sentencepiece_codec, sharding, toxicity, url_filter
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -21,6 +21,10 @@ def op4_block_naming(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("row_key1", "row_key2")
 
 
+def op5_probminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash_dedup.near_dedup(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("row_key1", "row_key2")
+
+
 def op6_streaming_viterbi(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sentencepiece_codec.encode_documents(table(spark, sf_dir, "documents"))
 
@@ -41,4 +45,4 @@ def op10_url_range_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(table(spark, sf_dir, "pages").select("page_id", "url"), url_filter.rules_frame(spark))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_minimax_shards, op4_block_naming, op6_streaming_viterbi, op7_systematic_mix, op8_noisy_channel_toxicity, op9_line_runs, op10_url_range_join)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_minimax_shards, op4_block_naming, op5_probminhash, op6_streaming_viterbi, op7_systematic_mix, op8_noisy_channel_toxicity, op9_line_runs, op10_url_range_join)}

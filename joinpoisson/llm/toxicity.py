@@ -7,7 +7,7 @@ costs is the restored token. Restored texts are scored by the words, and by the
 labels.
 
 Learning: of the labels outside the held-out fifth, at most PER_CLASS rows of each class, those with the least
-hash of doc_id, give the word counts, the character model and the two-weight logistic fit; every document is scored.
+hash of doc_id, give the word counts, the character model and the logistic fit; every document is scored.
 Only the text enters a score. Cases: a null or empty text scores by the fit's intercept; repeated rows score alike;
 labels that name no document, null labels and repeated labels take no part beyond their first; with no labels of
 either class every score is 0; an empty table gives no rows.
@@ -32,7 +32,8 @@ PER_CLASS, MAX_FEATURES, MAX_TRIGRAMS, REMEMBERED = 8000, 20_000, 60_000, 300_00
 FOLDS, HELD_OUT = 5, 0
 #: Characters and the letters that they commonly replace.
 LEET = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "€": "e", "£": "l"}
-PREFIXES = (4, 5, 6)
+PREFIXES = (4, 5, 6, 7, 8)
+EVIDENCE = ("marked", "top", "second", "total", "words")
 EDGE = ".,;:?\"'()[]{}<>«»¿¡…*_~`-"
 COST_SWAP, COST_KEEP_ODD, COST_FOLD = 0.7, 6.0, 0.5
 _ODD = re.compile(r"[0134579@$!|+€£8(]")
@@ -139,24 +140,28 @@ def features(word: str) -> list[str]:
 class ToxicityModel:
     chars: CharModel
     weight: dict[str, float]
-    fit: tuple[float, float, float] = (-30.0, 0.0, 0.0)
+    fit: tuple[float, ...] = (-30.0, *[0.0] * len(EVIDENCE))
 
-    def evidence(self, restorer: Restorer, text: str | None, known: dict[str, float]) -> tuple[float, float]:
-        """The strongest mark in the text, and the logarithm of how many words carry one."""
-        top, marks = 0.0, 0
+    def evidence(self, restorer: Restorer, text: str | None, known: dict[str, float]) -> tuple[float, ...]:
+        """Whether a word of the text is marked; then the two strongest marks and the logarithms of the sum of all marks and of the number of words, else zeros."""
+        top, second, total = 0.0, 0.0, 0.0
         weight = self.weight
-        for w in restorer.tokens(text):
+        words = restorer.tokens(text)
+        for w in words:
             if (x := known.get(w)) is None:
                 if len(known) >= REMEMBERED:
                     known.clear()
                 x = known[w] = max((weight.get(f, 0.0) for f in features(w)), default=0.0)
             if x > 0:
-                marks += 1
-                top = max(top, x)
-        return top, math.log1p(marks)
-
-    def score(self, top: float, marks: float) -> float:
-        z = self.fit[0] + self.fit[1] * top + self.fit[2] * marks
+                total += x
+                if x > top:
+                    top, second = x, top
+                elif x > second:
+                    second = x
+        return (1.0, top, second, math.log1p(total), math.log1p(len(words))) if top else (0.0,) * len(EVIDENCE)
+
+    def score(self, evidence: tuple[float, ...]) -> float:
+        z = self.fit[0] + sum(a * b for a, b in zip(self.fit[1:], evidence, strict=True))
         return 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
 
 
@@ -219,26 +224,26 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Tox
         restorer, known = Restorer(chars), {}
         for b in batches:
             rows = [model.evidence(restorer, t, known) for t in b["text"]]
-            yield pd.DataFrame({"y": b["toxic"].astype("float64"), "top": [r[0] for r in rows], "marks": [r[1] for r in rows]})
+            yield pd.DataFrame(rows, columns=EVIDENCE).assign(y=b["toxic"].astype("float64").to_numpy())[["y", *EVIDENCE]]
 
-    points = sample.mapInPandas(measure, "y double, top double, marks double").groupBy("y", "top", "marks").count().toPandas()
-    model.fit = logistic(points[["top", "marks"]].to_numpy(), points["y"].to_numpy(), points["count"].to_numpy())
+    points = sample.mapInPandas(measure, ", ".join(f"{c} double" for c in ("y", *EVIDENCE))).toPandas()  # at most twice per_class rows
+    model.fit = logistic(points[list(EVIDENCE)].to_numpy(), points["y"].to_numpy())
     return model
 
 
-def logistic(x: np.ndarray, y: np.ndarray, n: np.ndarray, ridge: float = 0.05) -> tuple[float, float, float]:
-    """Weighted logistic fit by Newton steps, a small ridge on the slopes; slopes below 0 are left at 0."""
+def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05) -> tuple[float, ...]:
+    """Logistic fit by Newton steps with a small ridge on the slopes; first the intercept, then the slopes."""
     a = np.column_stack([np.ones(len(x)), x])
     w = np.zeros(a.shape[1])
-    keep = np.diag([1e-6, ridge, ridge])
+    keep = np.diag([1e-6] + [ridge] * x.shape[1])
     for _ in range(60):
         p = 1 / (1 + np.exp(-np.clip(a @ w, -30, 30)))
-        g = a.T @ (n * (p - y)) + keep @ w
-        step = np.linalg.solve((a * (n * p * (1 - p) + 1e-9)[:, None]).T @ a + keep, g)
+        g = a.T @ (p - y) + keep @ w
+        step = np.linalg.solve((a * (p * (1 - p) + 1e-9)[:, None]).T @ a + keep, g)
         w -= step
         if np.abs(step).max() < 1e-8:
             break
-    return float(w[0]), max(0.0, float(w[1])), max(0.0, float(w[2]))
+    return tuple(float(v) for v in w)
 
 
 def score(docs: DataFrame, model: ToxicityModel, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
@@ -252,7 +257,7 @@ def score(docs: DataFrame, model: ToxicityModel, keep: tuple[str, ...] = ("doc_i
         restorer, known = Restorer(model.chars), {}
         for b in batches:
             text = b.column(b.num_columns - 1)
-            scores = [model.score(*model.evidence(restorer, text[i].as_py(), known)) for i in range(b.num_rows)]
+            scores = [model.score(model.evidence(restorer, text[i].as_py(), known)) for i in range(b.num_rows)]
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(scores, pa.float64())], names=[*b.schema.names[:-1], "score"])
 
     out = source.mapInArrow(run, shape)
