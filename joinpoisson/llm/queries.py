@@ -6,13 +6,21 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from joinpoisson.llm import exact_dedup, line_dedup, minhash_dedup, mixing, sentencepiece_codec, sharding, toxicity, url_filter
+from joinpoisson.llm import exact_dedup, line_dedup, minhash_dedup, mixing, sentencepiece_codec, sharding, substring_dedup, topk_search, toxicity, url_filter
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_pivot_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return topk_search.digest(table(spark, sf_dir, "embeddings").select("vec_id", "embedding")).drop("block_scores")
+
+
+def op2_chained_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.substring_dedup(table(spark, sf_dir, "documents"))
+
+
 def op3_minimax_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.minimax_shards(table(spark, sf_dir, "documents"))
 
@@ -45,4 +53,60 @@ def op10_url_range_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(table(spark, sf_dir, "pages").select("page_id", "url"), url_filter.rules_frame(spark))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_minimax_shards, op4_block_naming, op5_probminhash, op6_streaming_viterbi, op7_systematic_mix, op8_noisy_channel_toxicity, op9_line_runs, op10_url_range_join)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_pivot_topk, op2_chained_passages, op3_minimax_shards, op4_block_naming, op5_probminhash, op6_streaming_viterbi, op7_systematic_mix, op8_noisy_channel_toxicity, op9_line_runs, op10_url_range_join)}
+
+#: The white space of the contracts, as a character class and as characters of DuckDB's SQL.
+_SPACE = r"[\x20\x09-\x0D]"
+_STRIP = "' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)"
+
+ORACLES: dict[str, str] = {
+    "op1_pivot_topk": """
+        WITH usable AS (
+          SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS BIGINT)) AS v FROM embeddings
+          WHERE embedding IS NOT NULL AND len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+        scored AS (
+          SELECT q.vec_id AS query_id, c.vec_id, CAST(list_sum(list_transform(list_zip(q.v, c.v), lambda p: p[1] * p[2])) AS BIGINT) AS score
+          FROM usable q JOIN usable c ON q.vec_id <> c.vec_id WHERE q.vec_id % 20 = 0)
+        SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score
+        FROM scored QUALIFY rank <= 20""",
+    "op4_block_naming": f"""
+        WITH t AS (SELECT doc_id, length(coalesce(text, '')) AS points, regexp_replace(coalesce(text, ''), '{_SPACE}', '', 'g') AS norm FROM documents),
+        g AS (SELECT *, first_value(doc_id) OVER (PARTITION BY norm ORDER BY points DESC, doc_id) AS keep_id, count(*) OVER (PARTITION BY norm) AS group_size FROM t)
+        SELECT doc_id, keep_id, CAST(group_size AS BIGINT) AS group_size, doc_id = keep_id AS kept, sha256(norm) AS text_sha256 FROM g""",
+    "op7_systematic_mix": r"""
+        WITH RECURSIVE d AS (
+          SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS size FROM documents),
+        s AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM d GROUP BY source),
+        w AS (SELECT *, [3, 1, 2][CAST((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 AS INTEGER) + 1] AS weight FROM s),
+        r AS (SELECT *, row_number() OVER (ORDER BY source_size * 2.0e0 / weight, source NULLS LAST) AS k FROM w),
+        f AS (
+          SELECT *, (sum(source_size) OVER () * 1.5e0 - coalesce(sum(source_size * 2) OVER (ORDER BY k ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
+            / sum(weight) OVER (ORDER BY k ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS rise FROM r),
+        t AS (
+          SELECT source, source_size, least(source_size * 2.0e0, coalesce(max(CASE WHEN rise * weight <= source_size * 2 THEN rise END) OVER () * weight, source_size * 2.0e0)) AS target FROM f),
+        p AS (
+          SELECT doc_id, d.source, size, source_size, target, CASE WHEN source_size > 0 THEN target / source_size ELSE 0 END AS expected,
+            row_number() OVER (PARTITION BY d.source ORDER BY size, doc_id NULLS LAST) AS n,
+            CAST(('0x' || substr(md5('20240607|' || d.source), 1, 5)) AS BIGINT) / 1048576.0e0 AS shift
+          FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
+        c AS (SELECT *, CAST(least(floor(n * expected + shift) - floor((n - 1) * expected + shift), 2) AS BIGINT) AS copies FROM p)
+        SELECT doc_id, size, source_size, target, size * copies AS taken, source, copies FROM c""",
+    "op9_line_runs": f"""
+        WITH lines AS (
+          SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line, generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS pos FROM documents),
+        keyed AS (SELECT *, translate(trim(line, {_STRIP}), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS key FROM lines),
+        common AS (SELECT key FROM keyed WHERE length(key) >= 1 GROUP BY key HAVING count(DISTINCT doc_id) >= 10),
+        marked AS (SELECT k.*, c.key IS NOT NULL AS goes FROM keyed k LEFT JOIN common c ON k.key = c.key)
+        SELECT doc_id, CAST(count(*) AS BIGINT) AS n_lines, CAST(count(*) FILTER (goes) AS BIGINT) AS n_dropped,
+          sha256(coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (NOT goes), '')) AS kept_sha256
+        FROM marked GROUP BY doc_id""",
+    "op10_url_range_join": r"""
+        WITH s AS (
+          SELECT page_id, translate(regexp_extract(coalesce(url, ''), '(?s)^.*?://([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
+            regexp_extract(coalesce(url, ''), '(?s)^.*?://[^/?#]*([^?#]*)', 1) AS path FROM pages),
+        rules(h, p, action) AS (VALUES ('net', '/', 'block'), ('example.net', '/en/', 'allow'), ('example.com', '/de/', 'block'), ('org', '/fr/', 'allow')),
+        m AS (
+          SELECT s.*, h || p AS rule, action, row_number() OVER (PARTITION BY page_id ORDER BY length(h || p) DESC NULLS LAST) AS k
+          FROM s LEFT JOIN rules ON (host = h OR ends_with(host, '.' || h)) AND starts_with(path, p))
+        SELECT page_id, host, path, rule, coalesce(action, 'allow') AS verdict FROM m WHERE k = 1""",
+}

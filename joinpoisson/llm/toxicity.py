@@ -6,8 +6,9 @@ may stand for one or two letters. The Viterbi path of least cost under a charact
 costs is the restored token. Restored texts are scored by the words, and by the beginnings of words, that mark toxic
 labels.
 
-Learning: of the labels outside the held-out fifth, at most PER_CLASS rows of each class, those with the least
-hash of doc_id, give the word counts, the character model and the logistic fit; every document is scored.
+Learning: the character model counts the words of all documents. Of the labels outside the held-out fifth, at most
+PER_CLASS rows of each class, those with the least hash of doc_id, give the word counts and the logistic fit; every
+document is scored.
 Only the text enters a score. Cases: a null or empty text scores by the fit's intercept; repeated rows score alike;
 labels that name no document, null labels and repeated labels take no part beyond their first; with no labels of
 either class every score is 0; an empty table gives no rows.
@@ -182,7 +183,7 @@ def training_texts(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLAS
 
 
 def _count_trigrams(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    total: Counter = Counter()
+    total: Counter = Counter()  # letters are few, so their triples are
     for b in batches:
         words: Counter = Counter()
         for text in b["text"]:
@@ -200,7 +201,7 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Tox
     sample = training_texts(docs, labels, per_class)
     by_class = dict(sample.groupBy("toxic").count().collect())
     bad, good = by_class.get(1, 0), by_class.get(0, 0)
-    grams = sample.mapInPandas(_count_trigrams, "g string, n long").groupBy("g").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "g").limit(MAX_TRIGRAMS).collect()
+    grams = docs.select(F.coalesce("text", F.lit("")).alias("text")).mapInPandas(_count_trigrams, "g string, n long").groupBy("g").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "g").limit(MAX_TRIGRAMS).collect()
     chars = character_model({r["g"]: float(r["n"]) for r in grams})
     if not bad or not good:
         return ToxicityModel(chars, {})
