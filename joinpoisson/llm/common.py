@@ -64,3 +64,14 @@ def with_fresh_names(df: DataFrame, names: list[str]) -> dict[str, str]:
 def row_key(df: DataFrame) -> list[Column]:
     """hash128 over all columns, so that only rows equal throughout share it."""
     return hash128("__k", *[F.to_json(F.struct(F.col(f"`{c}`"))) if t.startswith(("map", "array", "struct")) else F.col(f"`{c}`") for c, t in df.dtypes])
+
+
+def hash_sample(df: DataFrame, wanted: int, *keys: str) -> DataFrame:
+    """At most `wanted` rows of df, those with the least hash of the keys. A threshold on the hash, from the number of rows,
+    leaves about twice as many to sort, so that no partition hands more than its share to the driver."""
+    df = df.withColumn("__h", F.xxhash64(F.lit(11), *keys))
+    rows, bits = df.count(), 1 << 40
+    low = F.pmod(F.col("__h"), F.lit(bits))
+    if rows > 4 * wanted + 1000:
+        df = df.where(low < int(bits * (2 * wanted + 500) / rows))
+    return df.orderBy(low, *keys).limit(wanted).drop("__h")

@@ -24,10 +24,11 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from joinpoisson.llm.common import cut
+from joinpoisson.llm.common import cut, hash_sample
 
 PER_CLASS, MAX_FEATURES, MAX_TRIGRAMS, REMEMBERED = 8000, 20_000, 60_000, 300_000
 FOLDS, HELD_OUT = 5, 0
@@ -175,48 +176,49 @@ def training_texts(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLAS
     marked = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isin(0, 1) & ~held_out())
     picked = None
     for y in (0, 1):
-        some = marked.where(F.col("toxic") == y).select("doc_id", "toxic").orderBy(F.xxhash64(F.lit(5), "doc_id"), "doc_id").limit(per_class)
+        some = hash_sample(marked.where(F.col("toxic") == y).select("doc_id", "toxic"), per_class, "doc_id")
         picked = some if picked is None else picked.unionByName(some)
     # At most twice per_class rows of a number each.
     picked = picked.groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     return cut(docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("toxic", F.coalesce("text", F.lit("")).alias("text")).groupBy("text").agg(F.max("toxic").alias("toxic")).repartition("text"), "toxic-sample")
 
 
-def _count_trigrams(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+def _count_trigrams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     total: Counter = Counter()  # letters are few, so their triples are
     for b in batches:
         words: Counter = Counter()
-        for text in b["text"]:
-            words.update(set(text.lower().split()))
+        text = b.column(0)
+        for i in range(b.num_rows):
+            words.update(set(text[i].as_py().lower().split()))
         for w, n in words.items():
             w = w.strip(EDGE + "!")
             if w.isalpha():
                 p = "^^" + w + "$"
                 for i in range(len(p) - 2):
                     total[p[i : i + 3]] += n
-    yield pd.DataFrame({"g": list(total), "n": list(total.values())})
+    yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.string()), pa.array(list(total.values()), pa.int64())], names=["g", "n"])
 
 
 def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> ToxicityModel:
     sample = training_texts(docs, labels, per_class)
     by_class = dict(sample.groupBy("toxic").count().collect())
     bad, good = by_class.get(1, 0), by_class.get(0, 0)
-    grams = docs.select(F.coalesce("text", F.lit("")).alias("text")).mapInPandas(_count_trigrams, "g string, n long").groupBy("g").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "g").limit(MAX_TRIGRAMS).collect()
+    grams = docs.select(F.coalesce("text", F.lit("")).alias("text")).mapInArrow(_count_trigrams, "g string, n long").groupBy("g").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "g").limit(MAX_TRIGRAMS).collect()
     chars = character_model({r["g"]: float(r["n"]) for r in grams})
     if not bad or not good:
         return ToxicityModel(chars, {})
     least = max(3, math.ceil(0.004 * bad))
 
-    def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         restorer = Restorer(chars)
         seen: tuple[Counter, Counter] = (Counter(), Counter())
         for b in batches:
-            for y, text in zip(b["toxic"], b["text"], strict=True):
+            for y, text in zip(b.column("toxic").to_pylist(), b.column("text").to_pylist(), strict=True):
                 seen[y].update({f for w in restorer.tokens(text) for f in features(w)})
         names = list(seen[0].keys() | seen[1].keys())
-        yield pd.DataFrame({"f": names, "good": [seen[0][f] for f in names], "bad": [seen[1][f] for f in names]})
+        yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), *[pa.array([s[f] for f in names], pa.int64()) for s in seen]], names=["f", "good", "bad"])
 
-    counts = sample.mapInPandas(count, "f string, good long, bad long").groupBy("f").agg(F.sum("good").alias("good"), F.sum("bad").alias("bad"))
+    counts = sample.mapInArrow(count, "f string, good long, bad long").groupBy("f").agg(F.sum("good").alias("good"), F.sum("bad").alias("bad"))
     odds = F.log((F.col("bad") + 0.5) / (bad + 1.0)) - F.log((F.col("good") + 0.5) / (good + 1.0))
     top = counts.where(F.col("bad") >= least).withColumn("w", odds).where("w > 1.5").orderBy(F.desc("w"), "f").limit(MAX_FEATURES).collect()
     model = ToxicityModel(chars, {r["f"]: float(r["w"]) for r in top})
@@ -253,8 +255,6 @@ def score(docs: DataFrame, model: ToxicityModel, keep: tuple[str, ...] = ("doc_i
     shape = ", ".join(f"c{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(keep)) + ", score double"
 
     def run(batches):
-        import pyarrow as pa
-
         restorer, known = Restorer(model.chars), {}
         for b in batches:
             text = b.column(b.num_columns - 1)
