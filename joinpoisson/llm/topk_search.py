@@ -22,7 +22,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from joinpoisson.llm.common import cut
+from joinpoisson.llm.common import cut, hash_sample
 
 K, SCALE, PIVOTS, SAMPLE, QUERY_BLOCK, BLOCK, SLICE, EVERY = 20, 64, 24, 1024, 1024, 8192, 512, 20
 
@@ -106,7 +106,7 @@ def pivot_topk(vectors: DataFrame, queries: DataFrame, k: int = K, scale: int =
     small = "tinyint" if largest < 127 * 127 else "smallint" if largest < 32767**2 else "bigint"
     fitting = lambda df: df.where(F.size("v") == width).withColumn("v", F.col("v").cast(f"array<{small}>"))
     rows, asked = fitting(every), fitting(ready(queries)).withColumn("row", F.monotonically_increasing_id())
-    drawn = rows.orderBy(F.xxhash64(F.lit(3), "vec_id"), "vec_id").limit(sample).collect()
+    drawn = hash_sample(rows, sample, "vec_id").collect()
     known, known_ids = np.array([r["v"] for r in drawn], np.int64).reshape(-1, width), np.array([r["vec_id"] for r in drawn], np.int64)
     table = PivotTable(known, pivots, largest)
 

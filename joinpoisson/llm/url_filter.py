@@ -15,14 +15,17 @@ from __future__ import annotations
 from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from joinpoisson.llm.common import hash_sample
+
 #: Fixed values of the contract.
 RULES = (("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow"))
-DEFAULT, SAMPLE, RANGES_PER_PARTITION = "allow", 16384, 4
+DEFAULT, SAMPLE, RANGES_PER_PARTITION = "allow", 8192, 4
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+COLUMNS = ["range", "key", "kind", "page_id", "host", "path", "action"]
 END = "\x00"
 LAST = "\U0010ffff"
 
@@ -48,28 +51,31 @@ def judge(pages: DataFrame, rules: DataFrame, default: str = DEFAULT, sample: in
     spark = pages.sparkSession
     key = F.concat(F.array_join(F.reverse(F.split("host", r"\.")), END), F.lit(END))
     split = pages.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"), F.xxhash64("page_id", "url").alias("salt")).withColumn("key", key)
-    drawn = split.select("key", "salt", F.xxhash64("salt").alias("h")).orderBy("h").limit(sample).collect()
+    drawn = hash_sample(split.select("key", "salt"), sample, "salt", "key").collect()
     seen = sorted((r["key"], r["salt"]) for r in drawn)
     ranges = min(len(seen), RANGES_PER_PARTITION * int(spark.conf.get("spark.sql.shuffle.partitions")))
     bounds = [seen[len(seen) * i // ranges] for i in range(1, ranges)]
     shape = "range int, key string, kind int, page_id long, host string, path string, action string"
 
-    def place_pages(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def place_pages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            b["range"] = [bisect_right(bounds, x) for x in zip(b["key"], b["salt"], strict=True)]
-            yield b.assign(kind=1, action=None)[["range", "key", "kind", "page_id", "host", "path", "action"]]
+            keys = b.column("key").to_pylist()
+            at = [bisect_right(bounds, x) for x in zip(keys, b.column("salt").to_pylist(), strict=True)]
+            n = b.num_rows
+            yield pa.RecordBatch.from_arrays([pa.array(at, pa.int32()), b.column("key"), pa.array([1] * n, pa.int32()), b.column("page_id").cast(pa.int64()), b.column("host"), b.column("path"), pa.array([None] * n, pa.string())], names=COLUMNS)
 
-    def place_rules(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def place_rules(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         low, high = -(1 << 63), 1 << 63
         for b in batches:
-            b["key"] = [host_key(h) for h in b["host"]]
-            b["range"] = [list(range(bisect_left(bounds, (k, low)), bisect_left(bounds, (k + LAST, high)) + 1)) for k in b["key"]]
-            out = b.explode("range").assign(kind=0, page_id=None)
-            yield out[["range", "key", "kind", "page_id", "host", "path", "action"]]
+            for rule in b.to_pylist():
+                k = host_key(rule["host"])
+                at = range(bisect_left(bounds, (k, low)), bisect_left(bounds, (k + LAST, high)) + 1)
+                n = len(at)
+                yield pa.RecordBatch.from_arrays([pa.array(at, pa.int32()), *[pa.array([x] * n, t) for x, t in ((k, pa.string()), (0, pa.int32()), (None, pa.int64()), (rule["host"], pa.string()), (rule["path"], pa.string()), (rule["action"], pa.string()))]], names=COLUMNS)
 
-    both = split.select("page_id", "host", "path", "key", "salt").mapInPandas(place_pages, shape).unionByName(rules.select("host", "path", "action").mapInPandas(place_rules, shape))
+    both = split.select("page_id", "host", "path", "key", "salt").mapInArrow(place_pages, shape).unionByName(rules.select("host", "path", "action").mapInArrow(place_rules, shape))
     dealt = both.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "range").sortWithinPartitions("range", "key", "kind")
-    return dealt.mapInPandas(lambda x: _sweep(x, default), "page_id long, host string, path string, rule string, verdict string")
+    return dealt.mapInArrow(lambda x: _sweep(x, default), "page_id long, host string, path string, rule string, verdict string")
 
 
 class _Active:
@@ -87,12 +93,12 @@ class _Active:
         return next((p for n in self.lengths if (p := path[:n]) in self.paths), None)
 
 
-def _sweep(batches: Iterator[pd.DataFrame], default: str) -> Iterator[pd.DataFrame]:
+def _sweep(batches: Iterator[pa.RecordBatch], default: str) -> Iterator[pa.RecordBatch]:
     stack: list[_Active] = []
     within = None
     for b in batches:
         out = []
-        for part, key, kind, page, host, path, action in b.itertuples(index=False, name=None):
+        for part, key, kind, page, host, path, action in zip(*[c.to_pylist() for c in b.columns], strict=True):
             if part != within:
                 stack, within = [], part
             while stack and not key.startswith(stack[-1].key):
@@ -107,6 +113,5 @@ def _sweep(batches: Iterator[pd.DataFrame], default: str) -> Iterator[pd.DataFra
                 if (p := a.longest(path)) is not None and (best is None or len(a.host) + len(p) >= len(best[0]) + len(best[1])):
                     best = (a.host, p, a.paths[p])
             out.append((page, host, path, best[0] + best[1] if best else None, best[2] if best else default))
-        frame = pd.DataFrame(out, columns=["page_id", "host", "path", "rule", "verdict"])
-        frame["page_id"] = frame["page_id"].astype("Int64")
-        yield frame
+        columns = list(zip(*out, strict=True)) if out else [()] * 5
+        yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int64()), *[pa.array(c, pa.string()) for c in columns[1:]]], names=["page_id", "host", "path", "rule", "verdict"])
