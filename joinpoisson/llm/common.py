@@ -2,39 +2,18 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from joinpoisson.plans.storage import cut, shared_dir
+
+__all__ = ["WHITE", "WHITE_CLASS", "cut", "hash128", "hash_sample", "position_ids", "row_key", "shared_dir", "with_fresh_names"]
+
 #: The white space of the contracts, [\x20\x09-\x0D].
 WHITE = " \t\n\x0b\x0c\r"
 WHITE_CLASS = r"[\x20\x09-\x0D]"
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir of the session, or a new one where none is set."""
-    held = spark.sparkContext.getCheckpointDir()
-    configured = spark.conf.get("spark.checkpoint.dir", None)
-    if configured:
-        if held is None:
-            spark.sparkContext.setCheckpointDir(configured)
-        return configured.rstrip("/")
-    if held is None:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="ckpt-"))
-        held = spark.sparkContext.getCheckpointDir()
-    return held.rstrip("/")
-
-
-def cut(df: DataFrame, name: str = "cut") -> DataFrame:
-    """Write df to the shared folder and read it again: ends the lineage and fixes ids made from row positions."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def hash128(name: str, *cols: Column) -> list[Column]:
     """Two independent 64-bit hashes of the columns, named <name>1 and <name>2; a null differs from any value by its flag."""
     parts = [x for c in cols for x in (c, c.isNull())]
