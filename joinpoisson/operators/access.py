@@ -14,24 +14,17 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from joinpoisson.functions.arith import div, step_width
 from joinpoisson.plans.jointree import Node
 from joinpoisson.plans.relations import RID, WEIGHT
 
 
-def _div(a: Column, b: Column) -> Column:
-    return F.call_function("div", a, b)
-
-
-def step_width(total: Column, places: Column) -> Column:
-    return F.greatest(F.lit(1).cast("long"), _div(total + places - 1, places))
-
-
 def _stepped(node: Node, intervals: DataFrame) -> DataFrame:
     """The intervals under each step that they meet. Needs the totals of their key and score."""
     groups = [*node.key, "score"]
     totals = intervals.groupBy(*groups).agg(F.max("hi").alias("_total"), F.count("*").alias("_places")).select(*groups, step_width(F.col("_total"), F.col("_places")).alias("_width"))
     met = intervals.join(totals, groups)
-    first, last = _div(F.col("lo"), F.col("_width")), _div(F.col("hi") - 1, F.col("_width"))
+    first, last = div(F.col("lo"), F.col("_width")), div(F.col("hi") - 1, F.col("_width"))
     return met.withColumn("_step", F.explode(F.sequence(first, last))).drop("_width")
 
 
@@ -39,7 +32,7 @@ def descend(index, requests: DataFrame, strategy: str = "steps") -> DataFrame:
     """requests: score, rank and any columns of their own. Adds the tree's attributes, rid_<relation> and w_<relation>."""
     tree = index.tree
     own = list(requests.columns)
-    rows = requests.join(F.broadcast(index.buckets.select("score", F.col("n").alias(f"_n_{tree.name}"), F.col("places").alias(f"_p_{tree.name}"))), "score")
+    rows = requests.join(F.broadcast(index.buckets.select("score", F.col("width").alias(f"_d_{tree.name}"))), "score")
     rows = rows.withColumns({f"_s_{tree.name}": F.col("score"), f"_r_{tree.name}": F.col("rank")})
     have: list[str] = []
     for node in tree.walk():
@@ -50,14 +43,14 @@ def descend(index, requests: DataFrame, strategy: str = "steps") -> DataFrame:
 
 def _locate(node: Node, intervals: DataFrame, rows: DataFrame, have: list[str], strategy: str) -> tuple[DataFrame, list[str]]:
     name, fresh = node.name, [a for a in node.attrs if a not in have]
-    inner = [f"score_{c.name}" for c in node.children] + [f"n_{c.name}" for c in node.children] + [f"places_{c.name}" for c in node.children]
+    inner = [f"score_{c.name}" for c in node.children] + [f"n_{c.name}" for c in node.children] + [f"width_{c.name}" for c in node.children]
     table = intervals.select(*[F.col(k).alias(f"_k_{k}") for k in node.key], F.col("score").alias("_is"), "lo", "hi", F.col(RID).alias(f"rid_{name}"), F.col(WEIGHT).alias(f"w_{name}"), *fresh, *inner, *(["_step"] if "_step" in intervals.columns else []))
     score, rank = F.col(f"_s_{name}"), F.col(f"_r_{name}")
     same = [F.col(k) == F.col(f"_k_{k}") for k in node.key] + [score == F.col("_is")]
     if strategy == "steps":
         stepped = _stepped(node, intervals)
         table = stepped.select(*[F.col(k).alias(f"_k_{k}") for k in node.key], F.col("score").alias("_is"), "lo", "hi", F.col(RID).alias(f"rid_{name}"), F.col(WEIGHT).alias(f"w_{name}"), *fresh, *inner, "_step")
-        asked = rows.withColumn("_at", _div(rank - 1, step_width(F.col(f"_n_{name}"), F.col(f"_p_{name}"))))
+        asked = rows.withColumn("_at", div(rank - 1, F.col(f"_d_{name}")))
         on = [*same, F.col("_at") == F.col("_step"), rank > F.col("lo"), rank <= F.col("hi")]
         met = asked.join(table, on).drop("_at", "_step")
     else:
@@ -67,10 +60,10 @@ def _locate(node: Node, intervals: DataFrame, rows: DataFrame, have: list[str],
     rest = F.lit(1).cast("long")
     for c in reversed(node.children):  # the last child's rank moves fastest
         count = F.col(f"n_{c.name}")
-        out |= {f"_s_{c.name}": F.col(f"score_{c.name}"), f"_n_{c.name}": count, f"_p_{c.name}": F.col(f"places_{c.name}"), f"_r_{c.name}": _div(within, rest) % count + 1}
+        out |= {f"_s_{c.name}": F.col(f"score_{c.name}"), f"_d_{c.name}": F.col(f"width_{c.name}"), f"_r_{c.name}": div(within, rest) % count + 1}
         rest = rest * count
     met = met.withColumns(out) if out else met
-    gone = [f"_s_{name}", f"_r_{name}", f"_n_{name}", f"_p_{name}", "lo", "hi", "_is", *[f"_k_{k}" for k in node.key], *inner]
+    gone = [f"_s_{name}", f"_r_{name}", f"_d_{name}", "lo", "hi", "_is", *[f"_k_{k}" for k in node.key], *inner]
     return met.drop(*gone), have + fresh
 
 

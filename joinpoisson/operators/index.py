@@ -2,8 +2,8 @@
 
 Everything is sums of products over the join tree, one equi-join per tree edge and one aggregation per node:
 
-- a *message* of a node has, for each join key and score, the number of results of the node's subtree (n) and the
-  number of places that make them (places);
+- a *message* of a node has, for each join key and score, the number of results of the node's subtree (n), and
+  the width of the steps by which their ranks are looked up;
 - the *places* of a node are its tuples joined with the messages of all its children: a row per tuple and combination
   of child scores, with the product of the counts. In order of (rid, child scores) the running sums of n over the
   places of one key and score cut that score's ranks into intervals.
@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from joinpoisson.functions.algebra import PRODUCT, Algebra, constant
+from joinpoisson.functions.arith import step_width
 from joinpoisson.plans.jointree import Node, build_join_tree
 from joinpoisson.plans.relations import RID, WEIGHT, RelationSpec, schemas
 from joinpoisson.plans.storage import cut, running_sum, shared_dir
@@ -41,11 +42,11 @@ def tuples_of(spec: RelationSpec, algebra: Algebra, cap: int) -> DataFrame:
 
 
 def places_of(node: Node, specs: dict[str, RelationSpec], algebra: Algebra, cap: int) -> DataFrame:
-    """attrs, rid, w, score (of the subtree), n, and for each child its score, count and number of places."""
+    """attrs, rid, w, score (of the subtree), n, and for each child its score, count and step width."""
     rows = tuples_of(specs[node.name], algebra, cap)
     parts, count = [F.col("score")], F.lit(1).cast("long")
     for c in node.children:
-        message = message_of(c, specs, algebra, cap).select(*c.key, F.col("score").alias(f"score_{c.name}"), F.col("n").alias(f"n_{c.name}"), F.col("places").alias(f"places_{c.name}"))
+        message = message_of(c, specs, algebra, cap).select(*c.key, F.col("score").alias(f"score_{c.name}"), F.col("n").alias(f"n_{c.name}"), F.col("width").alias(f"width_{c.name}"))
         rows = rows.join(message, list(c.key)) if c.key else rows.crossJoin(F.broadcast(message))  # no key: a row per score
         parts.append(F.col(f"score_{c.name}"))
         count = count * F.col(f"n_{c.name}")
@@ -53,8 +54,9 @@ def places_of(node: Node, specs: dict[str, RelationSpec], algebra: Algebra, cap:
 
 
 def message_of(node: Node, specs: dict[str, RelationSpec], algebra: Algebra, cap: int) -> DataFrame:
-    """key, score, n, places of the node's subtree."""
-    return places_of(node, specs, algebra, cap).groupBy(*node.key, "score").agg(F.sum("n").alias("n"), F.count("*").alias("places"))
+    """key, score, n of the node's subtree, and the width of the steps that its ranks are looked up by."""
+    sums = places_of(node, specs, algebra, cap).groupBy(*node.key, "score").agg(F.sum("n").alias("n"), F.count("*").alias("places"))
+    return sums.withColumn("width", step_width(F.col("n"), F.col("places"))).drop("places")
 
 
 def join_size(specs: list[RelationSpec], root: str | None = None) -> int:
@@ -104,9 +106,15 @@ def intervals_of(node: Node, places: DataFrame, large: int = LARGE_GROUP) -> Dat
     return run.withColumn("lo", F.col("hi") - F.col("n"))
 
 
+def buckets_of(root: DataFrame, algebra: Algebra, relations: int) -> DataFrame:
+    """score, n, width, ceiling from the root's intervals."""
+    sizes = root.groupBy("score").agg(F.sum("n").alias("n"), F.count("*").alias("places"))
+    return sizes.select("score", "n", step_width(F.col("n"), F.col("places")).alias("width"), algebra.ceiling(F.col("score"), relations).alias("ceiling"))
+
+
 @dataclass
 class ScoreIndex:
-    """Interval tables of all nodes and the buckets (score, n, places, ceiling) at the root."""
+    """Interval tables of all nodes and the buckets (score, n, width, ceiling) at the root."""
 
     tree: Node
     algebra: Algebra
@@ -123,8 +131,7 @@ class ScoreIndex:
         by_name = {s.name: s for s in specs}
         keep = cut if store else lambda df, name: df
         tables = {n.name: keep(intervals_of(n, places_of(n, by_name, algebra, level), large), f"intervals-{n.name}") for n in tree.walk()}
-        sizes = tables[tree.name].groupBy("score").agg(F.sum("n").alias("n"), F.count("*").alias("places"))
-        buckets = keep(sizes.withColumn("ceiling", algebra.ceiling(F.col("score"), len(specs))), "buckets")
+        buckets = keep(buckets_of(tables[tree.name], algebra, len(specs)), "buckets")
         return cls(tree, algebra, level, tables, buckets, tree.names)
 
     def save(self, path: str) -> None:

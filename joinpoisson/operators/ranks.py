@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from joinpoisson.functions.rng import SCALE, mixed_uniforms, nonempty_probability, truncated_geometric, u01, u01_value
-from joinpoisson.operators.access import _div
+from joinpoisson.functions.arith import div
 
 CHUNK_HITS, GROUP = 64, 1024
 
@@ -42,8 +42,8 @@ def candidate_ranks(parts: DataFrame, seed: int, draw: int = 0, draws: int = 1,
     else:
         some = some.withColumn("_from", F.lit(0).cast("long"))
     length = F.least(F.lit(1 << 62).cast("long"), F.ceil(F.lit(float(CHUNK_HITS)) / F.col("p")).cast("long"))
-    some = some.withColumn("_length", length).withColumn("_chunks", _div(F.col("n") - F.col("_from") + F.col("_length") - 1, F.col("_length"))).where("_chunks > 0")
-    groups = some.withColumn("_group", F.explode(F.sequence(F.lit(0).cast("long"), _div(F.col("_chunks") - 1, F.lit(GROUP)))))
+    some = some.withColumn("_length", length).withColumn("_chunks", div(F.col("n") - F.col("_from") + F.col("_length") - 1, F.col("_length"))).where("_chunks > 0")
+    groups = some.withColumn("_group", F.explode(F.sequence(F.lit(0).cast("long"), div(F.col("_chunks") - 1, F.lit(GROUP)))))
     groups = groups.repartition(F.xxhash64("part", "draw", "_group"))
     chunks = groups.withColumn("_chunk", F.explode(F.sequence(F.col("_group") * GROUP, F.least(F.col("_group") * GROUP + GROUP, F.col("_chunks")) - 1)))
     shape = chunks.select(*own, F.lit(0).cast("long").alias("rank")).schema

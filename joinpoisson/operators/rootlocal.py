@@ -10,7 +10,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from joinpoisson.functions.algebra import Algebra
-from joinpoisson.operators.access import _div, _locate
+from joinpoisson.functions.arith import div
+from joinpoisson.operators.access import _locate
 from joinpoisson.operators.index import choose_cap, intervals_of, places_of
 from joinpoisson.operators.ranks import candidate_ranks
 from joinpoisson.operators.sampler import result_coin
@@ -30,9 +31,9 @@ def sample_root_local(specs: list[RelationSpec], algebra: Algebra, seed: int, dr
     within, rest, out = F.col("rank") - 1, F.lit(1).cast("long"), {}
     for c in reversed(tree.children):
         count = F.col(f"n_{c.name}")
-        out |= {f"_s_{c.name}": F.col(f"score_{c.name}"), f"_n_{c.name}": count, f"_p_{c.name}": F.col(f"places_{c.name}"), f"_r_{c.name}": _div(within, rest) % count + 1}
+        out |= {f"_s_{c.name}": F.col(f"score_{c.name}"), f"_d_{c.name}": F.col(f"width_{c.name}"), f"_r_{c.name}": div(within, rest) % count + 1}
         rest = rest * count
-    rows = (rows.withColumns(out) if out else rows).drop(*[f"{x}_{c.name}" for c in tree.children for x in ("score", "n", "places")])
+    rows = (rows.withColumns(out) if out else rows).drop(*[f"{x}_{c.name}" for c in tree.children for x in ("score", "n", "width")])
     have = list(tree.attrs)
     for node in tree.walk()[1:]:
         rows, have = _locate(node, intervals_of(node, places_of(node, by_name, algebra, level)), rows, have, "steps")
