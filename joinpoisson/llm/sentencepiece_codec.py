@@ -24,7 +24,8 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 
 SPACE = "▁"
-REMEMBERED, PAIRS, IDS_PER_BATCH = 200_000, 400_000, 2_000_000
+REMEMBERED, PAIRS, IDS_PER_BATCH = 90_000, 200_000, 1_000_000
+SHORT = 64
 
 
 def vocabulary_path(name: str = "piece_bpe_32k.model") -> str:
@@ -42,63 +43,113 @@ class StreamingCodec:
         self.id_of = {sp.id_to_piece(i): i for i in plain}
         self.score = {sp.id_to_piece(i): sp.get_score(i) for i in plain}
         self.byte_id = [sp.piece_to_id(f"<0x{b:02X}>") for b in range(256)]
-        self.byte_of = {i: b for b, i in enumerate(self.byte_id)}
-        self.piece_of = {i: p for p, i in self.id_of.items()}
         self.longest = max(map(len, self.id_of))
-        self.whole: dict[str, bool] = {}
+        # What each id decodes to; single bytes above ASCII as the escapes that surrogateescape turns back into bytes.
+        self.shown = [""] * sp.get_piece_size()
+        for p, i in self.id_of.items():
+            self.shown[i] = p.replace(SPACE, " ")
+        for b, i in enumerate(self.byte_id):
+            self.shown[i] = chr(b) if b < 128 else chr(0xDC00 + b)
+        self.halves: dict[str, tuple[float, str, str]] = {}
+        self.trie: dict = {}
+        for p in self.id_of:
+            if SPACE not in p[1:] and (half := self._last_merge(p)):
+                self.halves[p] = half
+                node = self.trie
+                for c in p:
+                    node = node.setdefault(c, {})
+                node[""] = p
         self.pairs: dict[tuple[str, str], bool] = {}
-        self.known: dict[str, tuple[int, ...]] = {}
+        # Two generations each of what parts and words became: a full young one becomes the old one.
+        self.known: list[dict[str, tuple[int, ...]]] = [{}, {}]
+        self.words: list[dict[str, tuple[int, ...]]] = [{}, {}]
         self.parts = regex.compile(f"{SPACE}+[^{SPACE}\\n]*|[^{SPACE}\\n]+|\\n")
 
-    def _merged(self, text: str) -> list[str]:
-        """Highest-scoring merges of a short text, leftmost first."""
-        at = list(text)
+    def _last_merge(self, piece: str) -> tuple[float, str, str] | None:
+        """When the piece's own encoding is the piece: its rank and the two halves of its last merge (-1 for one character)."""
+        at, last = list(piece), (-1.0, "", "")
         while len(at) > 1:
             found = [(-self.score[m], i) for i in range(len(at) - 1) if (m := at[i] + at[i + 1]) in self.score]
             if not found:
-                break
-            i = min(found)[1]
+                return None
+            rank, i = min(found)
+            last = (rank, at[i], at[i + 1])
             at[i : i + 2] = [at[i] + at[i + 1]]
-        return at
-
-    def _stands(self, piece: str) -> bool:
-        if (x := self.whole.get(piece)) is None:
-            x = self.whole[piece] = self._merged(piece) == [piece]
-        return x
+        return last
 
     def _fits(self, left: str, right: str) -> bool:
-        if (x := self.pairs.get((left, right))) is None:
-            if len(self.pairs) >= PAIRS:
-                self.pairs.clear()
-            x = self.pairs[left, right] = self._merged(left + right) == [left, right]
-        return x
+        """Whether left + right is encoded as the two. Undoing their merges from the latest, the parts on both sides of
+        the boundary stand side by side until the merge undone before; a merge of them with a better rank comes first."""
+        if (x := self.pairs.get((left, right))) is not None:
+            return x
+        if len(self.pairs) >= PAIRS:
+            self.pairs.clear()
+        a, b, limit, fits = left, right, float("inf"), True
+        while True:
+            score = self.score.get(a + b)
+            if score is not None and -score < limit:
+                fits = False
+                break
+            (ra, _, tail), (rb, head, _) = self.halves[a], self.halves[b]
+            if ra > rb:
+                limit, a = ra, tail
+            elif rb >= 0:
+                limit, b = rb + 0.5, head  # of equal ranks the boundary's is further left
+            else:
+                break
+        self.pairs[left, right] = fits
+        return fits
 
     def pieces(self, text: str) -> Iterator[str]:
         """The pieces of a text, each given out as soon as the paths of the window have met behind it."""
         ending: dict[int, str] = {0: ""}
-        given, score = 0, self.score
-        for i in range(1, len(text) + 1):
-            c = text[i - 1]
-            if c not in score:
-                yield from self._path(ending, given, i - 1)
-                yield c
-                ending, given = {i: ""}, i
+        given, n, trie, fits = 0, len(text), self.trie, self._fits
+        for j in range(n):
+            if text[j] not in trie:
+                yield from self._path(ending, given, j)
+                yield text[j]
+                ending, given = {j + 1: ""}, j + 1
                 continue
-            for j in range(max(given, i - self.longest), i):
-                piece = text[j:i]
-                if piece in score and j in ending and self._stands(piece) and (not ending[j] or self._fits(ending[j], piece)):
+            left, node, i = ending[j], trie, j
+            while i < n and (node := node.get(text[i])) is not None:
+                i += 1
+                piece = node.get("")
+                if piece is not None and i not in ending and (not left or fits(left, piece)):
                     ending[i] = piece
-                    break
-            if i - given > 4 * self.longest:
-                met = self._meeting(ending, i)
+            if j - given > 4 * self.longest:
+                met = self._meeting(ending, j)
                 if met > given:
                     yield from self._path(ending, given, met)
-                    ending, given = {k: p for k, p in ending.items() if k >= met}, met
-        yield from self._path(ending, given, len(text))
+                    ending, given = {k: p for k, p in ending.items() if k > met} | {met: ""}, met
+        yield from self._path(ending, given, n)
+
+    def _window(self, text: str) -> list[str]:
+        """The pieces of a text that one window holds: its paths meet at its end."""
+        n, trie, pairs = len(text), self.trie, self.pairs
+        ending: list[str | None] = [None] * (n + 1)
+        for j in range(n):
+            left, node, i = ending[j], trie, j
+            if text[j] not in trie:
+                ending[j + 1] = text[j]
+                continue
+            free = j == 0 or left not in self.halves
+            for c in text[j:]:
+                node = node.get(c)
+                if node is None:
+                    break
+                i += 1
+                if ending[i] is None and (piece := node.get("")) is not None:
+                    if free:
+                        ending[i] = piece
+                    else:
+                        fits = pairs.get((left, piece))
+                        if fits or (fits is None and self._fits(left, piece)):
+                            ending[i] = piece
+        return self._path(ending, 0, n)
 
     def _meeting(self, ending: dict[int, str], i: int) -> int:
-        """The last boundary on the paths of all positions that a later piece can start from."""
-        heads = set(range(max(0, i - self.longest + 1), i + 1)) & ending.keys()
+        """The last boundary on the paths of all positions behind i, which later pieces start from."""
+        heads = {k for k in ending if k > i}
         while len(heads) > 1:
             last = max(heads)
             if not ending[last]:
@@ -125,33 +176,62 @@ class StreamingCodec:
 
     def _part(self, part: str) -> tuple[int, ...]:
         spaces = len(part) - len(part.lstrip(SPACE))
-        tail = list(self.pieces(part[max(0, spaces - 1) :]))
+        start = part[max(0, spaces - 1) :]
+        tail = self._window(start) if len(start) <= SHORT else list(self.pieces(start))
         if spaces > 1:
             alone = bool(tail) and tail[0] == SPACE
             tail = self._spaces(spaces - (not alone)) + tail[alone:]
-        return tuple(x for p in tail for x in ((self.id_of[p],) if p in self.id_of else (self.byte_id[b] for b in p.encode("utf-8"))))
+        try:
+            return tuple([self.id_of[p] for p in tail])
+        except KeyError:
+            return tuple(x for p in tail for x in ((self.id_of[p],) if p in self.id_of else (self.byte_id[b] for b in p.encode("utf-8"))))
 
     def encode(self, text: str | None) -> list[int]:
         if not text:
             return []
         ids: list[int] = []
-        known = self.known
-        for part in self.parts.findall(SPACE + text.replace(" ", SPACE)):
-            found = known.get(part)
+        if SPACE in text or "  " in text or text[0] == " " or text[-1] == " ":
+            for part in self.parts.findall(SPACE + text.replace(" ", SPACE)):
+                ids += self._remembered(part)
+            return ids
+        young, old = self.words
+        for word in text.split(" "):
+            found = young.get(word)
             if found is None:
-                found = self._part(part)
-                if len(part) <= 64:
-                    if len(known) >= REMEMBERED:
-                        known.clear()
-                    known[part] = found
+                if (found := old.get(word)) is None:
+                    if "\n" in word:
+                        for part in self.parts.findall(SPACE + word):
+                            ids += self._remembered(part)
+                        continue
+                    found = self._part(SPACE + word)
+                self._keep(self.words, word, found)
+                young, old = self.words
             ids += found
         return ids
 
+    def _remembered(self, part: str) -> tuple[int, ...]:
+        young, old = self.known
+        found = young.get(part)
+        if found is None:
+            if (found := old.get(part)) is None:
+                found = self._part(part)
+            self._keep(self.known, part, found)
+        return found
+
+    @staticmethod
+    def _keep(tables: list[dict[str, tuple[int, ...]]], text: str, ids: tuple[int, ...]) -> None:
+        if len(text) <= SHORT:
+            if len(tables[0]) >= REMEMBERED:
+                tables[:] = [{}, tables[0]]
+            tables[0][text] = ids
+
     def decode(self, ids) -> str:
-        out: list[bytes] = []
-        for i in ids:
-            out.append(bytes([self.byte_of[i]]) if i in self.byte_of else self.piece_of[i].replace(SPACE, " ").encode("utf-8"))
-        return b"".join(out).decode("utf-8", "replace")[1:]
+        text = "".join(map(self.shown.__getitem__, ids))
+        try:
+            text.encode("utf-8")
+        except UnicodeEncodeError:
+            text = text.encode("utf-8", "surrogateescape").decode("utf-8", "replace")
+        return text[1:]
 
 
 _codecs: dict[str, StreamingCodec] = {}
