@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from joinpoisson.llm.common import cut, hash_sample
 
-K, SCALE, PIVOTS, SAMPLE, QUERY_BLOCK, BLOCK, SLICE, EVERY = 20, 64, 24, 1024, 1024, 8192, 512, 20
+K, SCALE, PIVOTS, SAMPLE, QUERY_BLOCK, BLOCK, SLICE, EVERY = 20, 64, 8, 1024, 1024, 8192, 512, 20
 
 
 def usable(v: Column) -> Column:
@@ -39,6 +39,9 @@ def quantised(v: Column, scale: int = SCALE) -> Column:
 class PivotTable:
     def __init__(self, sample: np.ndarray, pivots: int, largest: float):
         self.largest = float(largest)
+        #: Sums of products stay whole numbers in this type, for none exceeds the largest squared norm.
+        self.exact = np.float32 if largest < 1 << 24 else np.float64
+        self.slack = 1e-6 + 1e-5 * self.largest**0.5  # more than rounding moves a distance
         rows = sample[self._spread(sample, pivots)].astype(np.float64) if len(sample) else np.zeros((0, 0))
         self.pivots = rows
         self.lift = self._lifted(rows) if len(rows) else np.zeros(0)
@@ -61,32 +64,32 @@ class PivotTable:
         x = x.astype(np.float64)
         lift = np.zeros(len(x)) if query else self._lifted(x)
         square = (x**2).sum(1)[:, None] + (self.pivots**2).sum(1)[None] - 2 * x @ self.pivots.T + (lift[:, None] - self.lift[None]) ** 2
-        return np.sqrt(np.maximum(0.0, square))
+        return np.sqrt(np.maximum(0.0, square)).astype(self.exact)
 
-    def upper_scores(self, q: np.ndarray, dq: np.ndarray, dx: np.ndarray) -> np.ndarray:
-        """No score of query q is above these; a little is added for rounding."""
-        low = np.abs(dx - dq[None]).max(1) if dx.shape[1] else np.zeros(len(dx))
-        return ((q.astype(np.float64) ** 2).sum() + self.largest - np.maximum(0.0, low - 1e-6) ** 2) / 2 + 1e-6
+    def upper_scores(self, square: float, dq: np.ndarray, dx: np.ndarray) -> np.ndarray:
+        """No score of a query of this squared norm is above these."""
+        low = np.maximum(np.abs(dx - dq).max(axis=1) - self.slack, 0) if dx.shape[1] else np.zeros(len(dx), self.exact)
+        return (square + self.largest - low * low) * self.exact(0.5) + self.exact(self.slack)
 
 
 def best_of_block(table: PivotTable, k: int, q_ids, q, floors, x_ids, x, slice_: int = SLICE):
     """For each query of a block the k best candidates of a block that may matter: (query, candidate, score), and the number of scores made."""
     dq, dx = table.distances(q, True), table.distances(x, False)
     out, made = [], 0
-    xf = x.astype(np.float64)
+    xf, qf = x.astype(table.exact), q.astype(table.exact)
+    squares = (qf * qf).sum(1)
     for i in range(len(q)):
-        bound = table.upper_scores(q[i], dq[i], dx)
+        bound = table.upper_scores(squares[i], dq[i], dx)
         may = np.flatnonzero((bound >= floors[i]) & (x_ids != q_ids[i]))
-        may = may[np.argsort(-bound[may], kind="stable")]
+        may = may[np.argsort(-bound[may])]
         ids, scores = np.zeros(0, np.int64), np.zeros(0, np.int64)
-        for at in range(0, len(may), slice_):
-            if len(scores) >= k and bound[may[at]] < scores[-1]:
-                break
-            part = may[at : at + slice_]
-            made += len(part)
-            new = np.rint(xf[part] @ q[i].astype(np.float64)).astype(np.int64)
-            ok = new >= floors[i]
-            ids, scores = np.concatenate([ids, x_ids[part][ok]]), np.concatenate([scores, new[ok]])
+        at, step = 0, slice_
+        while at < len(may) and not (len(scores) >= k and bound[may[at]] < scores[-1]):
+            part = may[at : at + step]
+            made, at, step = made + len(part), at + len(part), 2 * step
+            new = xf[part] @ qf[i]
+            ok = new >= (max(floors[i], scores[-1]) if len(scores) >= k else floors[i])
+            ids, scores = np.concatenate([ids, x_ids[part[ok]]]), np.concatenate([scores, np.rint(new[ok]).astype(np.int64)])
             best = np.lexsort((ids, -scores))[:k]
             ids, scores = ids[best], scores[best]
         out.append((np.full(len(ids), i), ids, scores))
