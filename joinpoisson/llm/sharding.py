@@ -78,7 +78,7 @@ class EndGrid:
         which = {i for i in which if self.cells[i][3] == shift}
         ids = sorted({(self.cells[i][0] - 1) >> shift for i in which})
         self.cells = [c for i, c in enumerate(self.cells) if i not in which]
-        self._add(self.ends.where(F.shiftright(F.col("end") - 1, shift).isin(ids)), max(0, shift - self.bits + 3))
+        self._add(self.ends.where(F.shiftright(F.col("end") - 1, shift).isin(ids)), max(0, shift - max(1, self.bits - 3)))
 
     def cut(self, shards: int, largest: int) -> tuple[int, list[int]]:
         """The least feasible capacity and its cuts."""
