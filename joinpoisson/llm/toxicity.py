@@ -23,14 +23,13 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from joinpoisson.llm.common import cut, hash_sample
 
-PER_CLASS, MAX_FEATURES, MAX_TRIGRAMS, REMEMBERED = 8000, 20_000, 60_000, 300_000
+PER_CLASS, MAX_FEATURES, MAX_TRIGRAMS, REMEMBERED = 8000, 20_000, 60_000, 100_000
 FOLDS, HELD_OUT = 5, 0
 #: Characters and the letters that they commonly replace.
 LEET = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "€": "e", "£": "l"}
@@ -223,14 +222,16 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Tox
     top = counts.where(F.col("bad") >= least).withColumn("w", odds).where("w > 1.5").orderBy(F.desc("w"), "f").limit(MAX_FEATURES).collect()
     model = ToxicityModel(chars, {r["f"]: float(r["w"]) for r in top})
 
-    def measure(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         restorer, known = Restorer(chars), {}
         for b in batches:
-            rows = [model.evidence(restorer, t, known) for t in b["text"]]
-            yield pd.DataFrame(rows, columns=EVIDENCE).assign(y=b["toxic"].astype("float64").to_numpy())[["y", *EVIDENCE]]
+            rows = [(float(y), *model.evidence(restorer, t, known)) for y, t in zip(b.column("toxic").to_pylist(), b.column("text").to_pylist(), strict=True)]
+            columns = list(zip(*rows, strict=True)) or [()] * (1 + len(EVIDENCE))
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64()) for c in columns], names=["y", *EVIDENCE])
 
-    points = sample.mapInPandas(measure, ", ".join(f"{c} double" for c in ("y", *EVIDENCE))).toPandas()  # at most twice per_class rows
-    model.fit = logistic(points[list(EVIDENCE)].to_numpy(), points["y"].to_numpy())
+    seen = sample.mapInArrow(measure, ", ".join(f"{c} double" for c in ("y", *EVIDENCE))).collect()  # at most twice per_class rows
+    points = np.array([tuple(r) for r in sorted(seen)])
+    model.fit = logistic(points[:, 1:], points[:, 0])
     return model
 
 
