@@ -250,8 +250,8 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05) -> tuple[float,
     return tuple(float(v) for v in w)
 
 
-def score(docs: DataFrame, model: ToxicityModel, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The kept columns with score for every row of docs; keep may name any columns."""
+def score(docs: DataFrame, model: ToxicityModel, keep: tuple[str, ...] = ("doc_id",), below: float | None = None) -> DataFrame:
+    """The kept columns with score for every row of docs; below: instead, the kept columns of the rows that score less."""
     source = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(keep)], F.col("text").alias("scored"))
     shape = ", ".join(f"c{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(keep)) + ", score double"
 
@@ -263,7 +263,8 @@ def score(docs: DataFrame, model: ToxicityModel, keep: tuple[str, ...] = ("doc_i
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(scores, pa.float64())], names=[*b.schema.names[:-1], "score"])
 
     out = source.mapInArrow(run, shape)
-    return out.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(keep)], "score")
+    named = [F.col(f"c{i}").alias(c) for i, c in enumerate(keep)]
+    return out.select(*named, "score") if below is None else out.where(F.col("score") < below).select(*named)
 
 
 def digest(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> DataFrame:
@@ -274,5 +275,4 @@ def digest(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Da
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, threshold: float = 0.5) -> DataFrame:
     """The rows of docs that score below the threshold, columns as given."""
-    names = tuple(docs.columns)
-    return score(docs, train(docs, labels), names).where(F.col("score") < threshold).select(*[F.col(f"`{c}`") for c in names])
+    return score(docs, train(docs, labels), tuple(docs.columns), threshold)
