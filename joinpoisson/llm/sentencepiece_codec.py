@@ -24,7 +24,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 
 SPACE = "▁"
-REMEMBERED, PAIRS, IDS_PER_BATCH = 90_000, 200_000, 1_000_000
+REMEMBERED, PAIRS, IDS_PER_BATCH = 140_000, 450_000, 1_000_000
 SHORT = 64
 
 
