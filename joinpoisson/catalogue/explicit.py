@@ -42,8 +42,8 @@ def _parts_sql(table: str, key: str, part: str, weight: str, ceiling: str, where
 
 def _register() -> None:
     shown = lambda df, key: df.select(key, "part", "place")
-    doc, evt, order = F.expr(W_DOC), F.expr(W_EVT), F.expr(W_ORD)
-    add("explicit_bernoulli_documents", lambda s, d: explicit.sample_bernoulli(_read(s, d, "documents"), "doc_id", doc, SEED).select("doc_id", "lang"), f"SELECT doc_id, lang FROM documents WHERE {_coin('coin', 'doc_id')} < {W_DOC}")
+    doc, evt, order = (lambda w=w: F.expr(w) for w in (W_DOC, W_EVT, W_ORD))  # no session is needed to register
+    add("explicit_bernoulli_documents", lambda s, d: explicit.sample_bernoulli(_read(s, d, "documents"), "doc_id", doc(), SEED).select("doc_id", "lang"), f"SELECT doc_id, lang FROM documents WHERE {_coin('coin', 'doc_id')} < {W_DOC}")
     add("explicit_uniform_skip_orders", lambda s, d: shown(explicit.sample_uniform_skip(_read(s, d, "orders").select("o_orderkey"), "o_orderkey", 0.01, SEED), "o_orderkey"), _parts_sql("orders", "o_orderkey", "'all'", "0.01", "0.01"))
 
     def lines(s, d):
@@ -71,27 +71,27 @@ def _register() -> None:
         return shown(explicit.sample_parts(rows, parts, "event_id", None, SEED), "event_id")
 
     add("explicit_uniform_gated_events", gated_events, gated)
-    add("explicit_rejection_documents", lambda s, d: shown(explicit.sample_rejection(_read(s, d, "documents"), "doc_id", doc, SEED), "doc_id"), _parts_sql("documents", "doc_id", "'all'", W_DOC, "max(weight)") + f" WHERE {_coin('keep', 'e.doc_id')} * h.p < weight")
+    add("explicit_rejection_documents", lambda s, d: shown(explicit.sample_rejection(_read(s, d, "documents"), "doc_id", doc(), SEED), "doc_id"), _parts_sql("documents", "doc_id", "'all'", W_DOC, "max(weight)") + f" WHERE {_coin('keep', 'e.doc_id')} * h.p < weight")
     big = lambda s, d: _read(s, d, "orders").where("o_totalprice > 250000")
-    add("explicit_beta_uniform_orders", lambda s, d: shown(explicit.sample_rejection(big(s, d), "o_orderkey", order, SEED), "o_orderkey"), _parts_sql("orders", "o_orderkey", "'all'", W_ORD, "max(weight)", "o_totalprice > 250000") + f" WHERE {_coin('keep', 'e.o_orderkey')} * h.p < weight")
+    add("explicit_beta_uniform_orders", lambda s, d: shown(explicit.sample_rejection(big(s, d), "o_orderkey", order(), SEED), "o_orderkey"), _parts_sql("orders", "o_orderkey", "'all'", W_ORD, "max(weight)", "o_totalprice > 250000") + f" WHERE {_coin('keep', 'e.o_orderkey')} * h.p < weight")
     stats = lambda t, w, where="true": f"SELECT CAST(count(*) AS BIGINT) AS n, max({w}) AS largest, min({w}) FILTER ({w} > 0) AS least, max({w}) / min({w}) FILTER ({w} > 0) AS beta, max({w}) * count(*) <= 1 AS light FROM {t} WHERE {where}"
-    add("measure_uniformity_orders", lambda s, d: explicit.uniformity(big(s, d), order), stats("orders", W_ORD, "o_totalprice > 250000"))
+    add("measure_uniformity_orders", lambda s, d: explicit.uniformity(big(s, d), order()), stats("orders", W_ORD, "o_totalprice > 250000"))
     light = "1.0e0 / (2.0e0 * (n_chars + 2000))"
     add("measure_uniformity_light_documents", lambda s, d: explicit.uniformity(_read(s, d, "documents"), F.expr(light)), stats("documents", light))
     add("explicit_light_documents", lambda s, d: shown(explicit.sample_rejection(_read(s, d, "documents"), "doc_id", F.expr(light), SEED), "doc_id"), _parts_sql("documents", "doc_id", "'all'", light, "max(weight)") + f" WHERE {_coin('keep', 'e.doc_id')} * h.p < weight")
-    users = lambda s, d, meta: shown(explicit.sample_batched(_read(s, d, "events").select("event_id", "user_id", "value"), "event_id", F.col("user_id"), evt, SEED, meta=meta), "event_id")
+    users = lambda s, d, meta: shown(explicit.sample_batched(_read(s, d, "events").select("event_id", "user_id", "value"), "event_id", F.col("user_id"), evt(), SEED, meta=meta), "event_id")
     add("explicit_batched_nometa_events", lambda s, d: users(s, d, False), _parts_sql("events", "event_id", "user_id", W_EVT, "max(weight)") + f" WHERE {_coin('keep', 'e.event_id')} * h.p < weight")
     add("explicit_batched_events", lambda s, d: users(s, d, True))
     by_class = _parts_sql("documents", "doc_id", score_sql(W_DOC, CAP), W_DOC, "pow(2.0e0, -CAST(part AS DOUBLE))", f"{W_DOC} > 0") + f" WHERE {_coin('keep', 'e.doc_id')} * h.p < weight"
     docs = lambda s, d: _read(s, d, "documents").select("doc_id", "n_chars")
-    add("explicit_classified_documents", lambda s, d: shown(explicit.ClassifiedSet.build(docs(s, d), "doc_id", doc).sample(SEED, gate=False), "doc_id"), by_class)
+    add("explicit_classified_documents", lambda s, d: shown(explicit.ClassifiedSet.build(docs(s, d), "doc_id", doc()).sample(SEED, gate=False), "doc_id"), by_class)
     vec = _parts_sql("embeddings", "vec_id", score_sql(W_VEC, CAP), W_VEC, "pow(2.0e0, -CAST(part AS DOUBLE))") + f" WHERE {_coin('keep', 'e.vec_id')} * h.p < weight"
     add("explicit_classified_embeddings", lambda s, d: shown(explicit.ClassifiedSet.build(_read(s, d, "embeddings").select("vec_id", "label"), "vec_id", F.expr(W_VEC)).sample(SEED, gate=False), "vec_id"), vec)
 
     def changed(s, d):
         rows = _read(s, d, "events").select("event_id", "value")
-        held = explicit.ClassifiedSet.build(rows.where("event_id % 3 < 2"), "event_id", evt)
-        held = held.upsert(rows.where("event_id % 3 = 2 OR event_id % 5 = 0").withColumn("value", F.col("value") / 2), evt).delete(rows.where("event_id % 7 = 0"))
+        held = explicit.ClassifiedSet.build(rows.where("event_id % 3 < 2"), "event_id", evt())
+        held = held.upsert(rows.where("event_id % 3 = 2 OR event_id % 5 = 0").withColumn("value", F.col("value") / 2), evt()).delete(rows.where("event_id % 7 = 0"))
         return shown(held.sample(SEED, gate=False), "event_id")
 
     now = "(SELECT event_id, CASE WHEN event_id % 3 = 2 OR event_id % 5 = 0 THEN value / 2 ELSE value END AS value FROM events WHERE event_id % 7 <> 0)"

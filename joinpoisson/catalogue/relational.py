@@ -73,9 +73,8 @@ def _projections() -> None:
     add("filter_case_when", lambda s, d: _t(s, d, "part").select("p_partkey", F.when(F.col("p_size") < 10, "small").when(F.col("p_size") < 30, "medium").otherwise("large").alias("kind"), F.coalesce(F.nullif(F.col("p_size"), F.lit(7)), F.lit(-1)).alias("size")), "SELECT p_partkey, CASE WHEN p_size < 10 THEN 'small' WHEN p_size < 30 THEN 'medium' ELSE 'large' END AS kind, coalesce(nullif(p_size, 7), -1) AS size FROM part")
     coin = u01_sql(str(SEED), "0", "'coin'", "doc_id")
     sql = f"SELECT doc_id FROM documents WHERE {coin} < {WEIGHTS['doc']} AND lang = 'en'"
-    doc = F.expr(WEIGHTS["doc"])
-    add("filter_then_sample", lambda s, d: explicit.sample_bernoulli(_t(s, d, "documents").where("lang = 'en'"), "doc_id", doc, SEED).select("doc_id"), sql)
-    add("sample_then_filter", lambda s, d: explicit.sample_bernoulli(_t(s, d, "documents"), "doc_id", doc, SEED).where("lang = 'en'").select("doc_id"), sql)
+    add("filter_then_sample", lambda s, d: explicit.sample_bernoulli(_t(s, d, "documents").where("lang = 'en'"), "doc_id", F.expr(WEIGHTS["doc"]), SEED).select("doc_id"), sql)
+    add("sample_then_filter", lambda s, d: explicit.sample_bernoulli(_t(s, d, "documents"), "doc_id", F.expr(WEIGHTS["doc"]), SEED).where("lang = 'en'").select("doc_id"), sql)
 
 
 def _joins() -> None:
@@ -193,8 +192,8 @@ def _sorts_and_sets() -> None:
     add("dedup_subset", lambda s, d: _t(s, d, "documents").select("lang", "source").dropDuplicates(["lang", "source"]), "SELECT DISTINCT lang, source FROM documents")
     add("sort_multi_nulls", lambda s, d: _t(s, d, "nation").orderBy(F.nullif(F.col("n_regionkey"), F.lit(2)).asc_nulls_last(), F.desc("n_name")).limit(12).select("n_nationkey"), "SELECT n_nationkey FROM nation ORDER BY nullif(n_regionkey, 2) ASC NULLS LAST, n_name DESC LIMIT 12")
     add("sort_limit_offset", lambda s, d: _t(s, d, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").offset(5).limit(20).select("o_orderkey"), "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20 OFFSET 5")
-    top = Window.partitionBy("o_orderpriority").orderBy(F.desc("o_totalprice"), "o_orderkey")
-    add("topk_per_group", lambda s, d: _t(s, d, "orders").withColumn("k", F.row_number().over(top)).where("k <= 3").select("o_orderpriority", "o_orderkey", "k"), "SELECT o_orderpriority, o_orderkey, CAST(k AS INTEGER) AS k FROM (SELECT *, row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders) WHERE k <= 3")
+    top = lambda: Window.partitionBy("o_orderpriority").orderBy(F.desc("o_totalprice"), "o_orderkey")
+    add("topk_per_group", lambda s, d: _t(s, d, "orders").withColumn("k", F.row_number().over(top())).where("k <= 3").select("o_orderpriority", "o_orderkey", "k"), "SELECT o_orderpriority, o_orderkey, CAST(k AS INTEGER) AS k FROM (SELECT *, row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders) WHERE k <= 3")
 
 
 def _functions() -> None:

@@ -8,6 +8,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, LongType
 
 from joinpoisson.catalogue.registry import add
 from joinpoisson.functions.algebra import score_sql
@@ -27,16 +28,16 @@ def _ranks_sql(seed: int, purpose: str, n: int, p: float) -> str:
 
 
 def _register() -> None:
-    plain = F.udf(lambda x: x * x + 1, "long")
+    plain = F.udf(lambda x: x * x + 1, LongType())
     add("udf_python", lambda s, d: _part(s, d).select("p_partkey", plain("x").alias("y")), SIZE)
 
-    @F.pandas_udf("long")
+    @F.pandas_udf(LongType())
     def vector(x: pd.Series) -> pd.Series:
         return x * x + 1
 
     add("udf_pandas", lambda s, d: _part(s, d).select("p_partkey", vector("x").alias("y")), SIZE)
 
-    @F.arrow_udf("long")
+    @F.arrow_udf(LongType())
     def arrow(x: pa.Array) -> pa.Array:
         return pa.compute.add(pa.compute.multiply(x, x), 1)
 
@@ -64,7 +65,7 @@ def _register() -> None:
 
     add("udf_cogroup", cogroup, "SELECT n_nationkey AS k, CAST((SELECT count(*) FROM customer WHERE c_nationkey = n_nationkey) AS BIGINT) AS customers, CAST((SELECT count(*) FROM supplier WHERE s_nationkey = n_nationkey) AS BIGINT) AS suppliers FROM nation WHERE n_nationkey IN (SELECT c_nationkey FROM customer UNION SELECT s_nationkey FROM supplier)")
 
-    @F.pandas_udf("double")
+    @F.pandas_udf(DoubleType())
     def total(x: pd.Series) -> float:
         return float(x.sum())
 

@@ -25,3 +25,13 @@ def test_plans(spark, small):
     assert "CartesianProduct" not in text and "SinglePartition" not in text and "BroadcastNestedLoopJoin" not in text
     reads = re.findall(r"ReadSchema: struct<([^>]*)>", plan(ScoreIndex.build(rows, cap=16, root="lineitem", store=False).buckets))
     assert reads and all("c_name" not in r and "o_orderpriority" not in r for r in reads)
+
+
+def test_names_need_no_session():
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    top = Path(__file__).resolve().parents[1]
+    said = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()), len(e.oracle_sql()))"], cwd=top, capture_output=True, text=True, timeout=120)
+    assert said.returncode == 0 and int(said.stdout.split()[0]) > 150, said.stderr[-500:]
