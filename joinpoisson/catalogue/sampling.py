@@ -12,10 +12,11 @@ from joinpoisson.functions.rng import u01_sql
 from joinpoisson.operators import baselines, metrics
 from joinpoisson.operators.estimators import ht_sum
 from joinpoisson.operators.index import ScoreIndex, choose_cap, intervals_of, join_size, places_of, reduce_relations
+from joinpoisson.operators.rewrite import push_selection
 from joinpoisson.operators.sampler import sample_join
 from joinpoisson.plans.jointree import build_join_tree, decompose
 from joinpoisson.plans.relations import RelationSpec, schemas
-from joinpoisson.sources.workloads import WORKLOADS, Rel, Workload, join_sql, relation_sql, specs
+from joinpoisson.sources.workloads import NUMBERED, WORKLOADS, Rel, Workload, join_sql, relation_sql, specs
 
 CAP, SEED = 20, 7
 ALGEBRAS = {"product": PRODUCT, "min": MIN, "max": MAX, "sum": SUM, "constant": constant(0.0625)}
@@ -143,6 +144,12 @@ def _register() -> None:
     zeros = WORKLOADS["w01"].with_weights(lambda t: "0.0e0")
     add("wl_w18_all_zeros_w01", lambda s, d: _shown(_built(s, d, zeros, PRODUCT).sample(SEED), zeros, "score", "rank"), sql.index_sample(zeros, PRODUCT, CAP, SEED))
 
+    def selected(s, d):
+        rows = push_selection(specs(s, d, w01), {"lineitem": F.col("w") > 0.5})
+        return _shown(baselines.naive_sample(rows, PRODUCT, SEED), w01)
+
+    add("rewrite_selection_before_w01", selected, f"WITH {sql.naive(w01, PRODUCT, SEED)} SELECT {sql.rids(w01)}, round(weight, 9) AS weight FROM naive WHERE w_lineitem > 0.5")
+    add("rewrite_selection_indexed_w01", lambda s, d: _shown(sample_join(push_selection(specs(s, d, w01), {"lineitem": F.col("w") > 0.5}), PRODUCT, SEED, cap=CAP, root="lineitem"), w01, "score", "rank"), sql.index_sample(_selected(w01), PRODUCT, CAP, SEED))
     for n in ("w01", "w02", "w05", "w12"):
         work = WORKLOADS[n]
         add(f"baseline_naive_{n}", lambda s, d, work=work: _shown(baselines.naive_sample(specs(s, d, work), PRODUCT, SEED), work), f"WITH {sql.naive(work, PRODUCT, SEED)} SELECT {sql.rids(work)}, round(weight, 9) AS weight FROM naive")
@@ -182,6 +189,11 @@ def _register() -> None:
     add("measure_ht_quantity_by_segment_w01", revenue, f"WITH {sql.naive(w01, PRODUCT, SEED)} SELECT c_mktsegment, CAST(count(*) AS BIGINT) AS sampled, round(sum({v} / weight), 3) AS estimate, round(sqrt(sum({v} * {v} * (1 - weight) / (weight * weight))), 3) AS deviation FROM naive JOIN customer ON ck = c_custkey GROUP BY 1")
 
 
+def _selected(work: Workload) -> Workload:
+    """The workload over the lines of more than half the largest quantity."""
+    return Workload(work.name, tuple(Rel(r.name, f"(SELECT * FROM (SELECT *, row_number() OVER (ORDER BY {', '.join(NUMBERED[r.table])}) AS _rid FROM {r.table}) WHERE {r.weight} > 0.5)" if r.name == "lineitem" else r.table, r.attrs, r.weight, r.rid) for r in work.rels), work.root)
+
+
 def _ranges(s, d, work: Workload) -> DataFrame:
     by = {x.name: x for x in specs(s, d, work)}
     node = next(n for n in build_join_tree(schemas(list(by.values())), "nation").walk() if n.name == "customer")

@@ -142,3 +142,10 @@ def messages(specs: list[RelationSpec], relation: str, algebra: Algebra, cap: in
     return message_of(node, {s.name: s for s in specs}, algebra, cap).drop("width")
 
 
+
+
+def plan_shape(df: DataFrame) -> dict[str, int]:
+    """How often the costly kinds of operators stand in the plan."""
+    text = df._jdf.queryExecution().executedPlan().toString()
+    kinds = ("Exchange", "BroadcastExchange", "SortMergeJoin", "BroadcastHashJoin", "CartesianProduct", "Window", "HashAggregate", "MapInArrow", "Generate", "SinglePartition")
+    return {k: len([line for line in text.splitlines() if k in line and (k != "Exchange" or "BroadcastExchange" not in line)]) for k in kinds}

@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir of the session, or a new one where none is set."""
+    """The folder all executors share: spark.checkpoint.dir of the session. Where none is set: a new one, in the temporary
+    folder of a local session, else in the warehouse, which a cluster shares."""
     held = spark.sparkContext.getCheckpointDir()
     configured = spark.conf.get("spark.checkpoint.dir", None)
     if configured:
@@ -18,7 +19,9 @@ def shared_dir(spark: SparkSession) -> str:
             spark.sparkContext.setCheckpointDir(configured)
         return configured.rstrip("/")
     if held is None:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="ckpt-"))
+        local = spark.sparkContext.master.split("[")[0] == "local"
+        warehouse = spark.conf.get("spark.sql.warehouse.dir").rstrip("/")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="ckpt-") if local else f"{warehouse}/ckpt-{uuid.uuid4().hex}")
         held = spark.sparkContext.getCheckpointDir()
     return held.rstrip("/")
 
