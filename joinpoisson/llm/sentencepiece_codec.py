@@ -24,7 +24,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 
 SPACE = "▁"
-REMEMBERED, PAIRS, IDS_PER_BATCH = 140_000, 450_000, 1_000_000
+REMEMBERED, PAIRS, IDS_PER_BATCH = 100_000, 300_000, 1_000_000
 SHORT = 64
 
 
@@ -225,6 +225,11 @@ class StreamingCodec:
                 tables[:] = [{}, tables[0]]
             tables[0][text] = ids
 
+    def forget(self) -> None:
+        """Empties the tables, which an idle worker would else hold on to while other stages run."""
+        self.pairs.clear()
+        self.known[:], self.words[:] = [{}, {}], [{}, {}]
+
     def decode(self, ids) -> str:
         text = "".join(map(self.shown.__getitem__, ids))
         try:
@@ -263,6 +268,7 @@ def encode_documents(docs: DataFrame, model_file: str | None = None) -> DataFram
                     start, rows, offsets, exact = i + 1, [], [0], []
             if start < b.num_rows:
                 yield _batch(doc.slice(start), rows, offsets, exact)
+        c.forget()
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, ids array<int>, n_tokens int, round_trip boolean")
 
