@@ -313,6 +313,18 @@ def test_passages_are_found_and_clean_texts_left_alone(spark, odd, none):
     assert substring_dedup.substring_dedup(none).count() == 0
 
 
+def test_a_passage_is_found_past_the_first_texts_with_its_seeds(spark):
+    rows, wanted = [], set()
+    for k in range(12):
+        p = words(70, 5000 + k).split()
+        z1, z2 = [f"{words(20, 6000 + 10 * k)} {' '.join(h)} {words(20, 6001 + 10 * k)}" for h in (p[:35], p[35:])]
+        a, b = f"{words(30, 6002 + 10 * k)} {' '.join(p)}", f"{' '.join(p)} {words(30, 6003 + 10 * k)}"
+        rows += [(4 * k + i, t, "en", "a", 1) for i, t in enumerate((z1, z2, a, b))]
+        wanted.add(frozenset((4 * k + 2, 4 * k + 3)))
+    got = substring_dedup.substring_dedup(frame(spark, rows)).collect()
+    assert {frozenset((x.doc_id, x.match_doc_id)) for x in got} == wanted and all(x.n_words == x.same_words == 70 for x in got)
+
+
 def test_chains_match_quadratic_chaining():
     r = np.random.default_rng(6)
     for _ in range(30):
