@@ -325,6 +325,23 @@ def test_a_passage_is_found_past_the_first_texts_with_its_seeds(spark):
     assert {frozenset((x.doc_id, x.match_doc_id)) for x in got} == wanted and all(x.n_words == x.same_words == 70 for x in got)
 
 
+@pytest.mark.parametrize("every", [6, 7, 8, 10, 20])
+def test_passages_are_found_at_each_identity(spark, every):
+    rows = []
+    for k in range(20):
+        p = words(60, 9000 + k).split()
+        q = [f"other{k}x{i}" if i % every == every - 1 and i < 59 else w for i, w in enumerate(p)]
+        rows += [(2 * k, f"{words(20, 9100 + k)} {' '.join(p)}", "en", "a", 1), (2 * k + 1, f"{' '.join(q)} {words(20, 9200 + k)}", "en", "a", 1)]
+    r = random.Random(every)
+    for k in range(20, 40):
+        p = words(60, 9000 + k).split()
+        gone = set(r.sample(range(1, 59), 60 // every))
+        q = [f"other{k}x{i}" if i in gone else w for i, w in enumerate(p)]
+        rows += [(2 * k, f"{words(20, 9100 + k)} {' '.join(p)}", "en", "a", 1), (2 * k + 1, f"{' '.join(q)} {words(20, 9200 + k)}", "en", "a", 1)]
+    got = substring_dedup.substring_dedup(frame(spark, rows)).collect()
+    assert {frozenset((x.doc_id, x.match_doc_id)) for x in got} == {frozenset((2 * k, 2 * k + 1)) for k in range(40)}
+
+
 def test_chains_match_quadratic_chaining():
     r = np.random.default_rng(6)
     for _ in range(30):
