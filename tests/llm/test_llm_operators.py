@@ -342,6 +342,15 @@ def test_passages_are_found_at_each_identity(spark, every):
     assert {frozenset((x.doc_id, x.match_doc_id)) for x in got} == {frozenset((2 * k, 2 * k + 1)) for k in range(40)}
 
 
+def test_each_place_of_a_passage_has_a_span(spark):
+    p, q = words(60, 31), words(55, 32)
+    rows = [(1, f"{p} {words(40, 33)}", "en", "a", 1), (2, f"{words(10, 34)} {p} {words(20, 35)} {p} {words(5, 36)} {p}", "en", "a", 1), (3, f"{q} {words(7, 37)} {q} {q}", "en", "a", 1), (4, words(150, 38), "en", "a", 1)]
+    got = substring_dedup.substring_dedup(frame(spark, rows)).collect()
+    spans = {(x.doc_id, x.start_word, x.n_words, x.match_doc_id, x.match_start) for x in got}
+    assert {(2, 10, 60, 1, 0), (2, 90, 60, 1, 0), (2, 155, 60, 1, 0), (3, 62, 55, 3, 0), (3, 117, 55, 3, 0)} <= spans
+    assert all(x.match_start + x.match_words <= x.start_word for x in got if x.doc_id == x.match_doc_id)
+
+
 def test_chains_match_quadratic_chaining():
     r = np.random.default_rng(6)
     for _ in range(30):
