@@ -6,9 +6,10 @@ shingle stops once its next arrival is later than the latest register. Two texts
 probability Jaccard similarity of their weights. All texts of a batch run through the rounds of arrivals together.
 
 Texts that agree in a band of registers are candidates: each is paired with the band's representative (the least
-hash of band and text, so bands have different ones), and those that end up in another class are dealt once more
-with a representative of their own. A text's likeliest candidate is verified first, on the exact Jaccard similarity
-of the two shingle sets; then all candidates whose ends are still in different classes. Equal texts meet before.
+hash of band and text, so bands have different ones). A text's likeliest candidate is verified first, on the exact
+Jaccard similarity of the two shingle sets; then all candidates whose ends are still in different classes. Where a
+bucket still holds several classes its other texts are paired with the next representatives, then with twice as many,
+until each bucket holds one class or all its pairs are verified. Equal texts meet before.
 
 Cases: a null text counts as empty; a text of fewer than five words is one shingle; empty texts are equal and form
 one class; repeated rows belong to one class; ties go to the smaller doc_id, nulls last; an empty table gives no rows.
@@ -20,13 +21,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from joinpoisson.llm.common import cut, row_key
 from joinpoisson.llm.components import components
 
-WORDS, SIMILAR, REGISTERS, BAND_ROWS, DEALS = 5, 0.8, 100, 5, 2
+WORDS, SIMILAR, REGISTERS, BAND_ROWS = 5, 0.8, 100, 5
 SHINGLES_PER_CHUNK = 400_000
 
 
@@ -134,14 +135,13 @@ def verified(pairs: DataFrame, texts: DataFrame, similar: float = SIMILAR) -> Da
 
 
 def _star(members: DataFrame) -> DataFrame:
-    """members (band, key, tid) -> pairs of a text and the representative of its bucket, with the number of bands."""
+    """members (band, key, tid) -> the members without the representative of their bucket, b."""
     lead = F.min(F.struct(F.xxhash64("band", "tid").alias("h"), "tid")).alias("lead")
     heads = cut(members.groupBy("band", "key").agg(lead, F.count("*").alias("n")).where("n > 1").select("band", "key", F.col("lead.tid").alias("b")), "heads")
-    met = members.join(heads, ["band", "key"]).where("tid != b")
-    return met.groupBy(F.col("tid").alias("a"), "b").agg(F.count("*").alias("bands"))
+    return cut(members.join(heads, ["band", "key"]).where("tid != b"), "met")
 
 
-def near_classes(docs: DataFrame, similar: float = SIMILAR, registers: int = REGISTERS, rows: int = BAND_ROWS, deals: int = DEALS) -> DataFrame:
+def near_classes(docs: DataFrame, similar: float = SIMILAR, registers: int = REGISTERS, rows: int = BAND_ROWS) -> DataFrame:
     """(tid, root) for the texts of docs that are in a class with another text."""
     bands = cut(band_keys(docs, registers, rows), "bands")
     once = bands.groupBy("tid").agg(F.first("bands").alias("bands"))
@@ -151,20 +151,27 @@ def near_classes(docs: DataFrame, similar: float = SIMILAR, registers: int = REG
     needed = open_.select("tid").distinct()
     texts = docs.select(text_id(F.col("text")).alias("tid"), F.coalesce("text", F.lit("")).alias("text")).join(needed, "tid", "left_semi")
     texts = cut(texts.dropDuplicates(["tid"]), "near-texts")
-    links, roots = None, None
-    for _ in range(deals):
-        pairs = cut(_star(open_), "pairs")
-        best = pairs.groupBy("a").agg(F.max(F.struct("bands", "b")).alias("best")).select("a", F.col("best.b").alias("b"))
-        for step in (best, pairs.select("a", "b")):
-            if roots is not None:
-                step = _apart(step, roots)
-            new = cut(verified(step, texts, similar), "links").select("a", "b")
-            links = new if links is None else links.unionByName(new)
-            if roots is None or not new.isEmpty():
-                roots = cut(components(links), "roots")
-        if deals > 1:
-            open_ = _unsettled(open_, roots)
-    return roots
+    met = _star(open_)
+    pairs = cut(met.groupBy(F.col("tid").alias("a"), "b").agg(F.count("*").alias("bands")), "pairs")
+    best = pairs.groupBy("a").agg(F.max(F.struct("bands", "b")).alias("best")).select("a", F.col("best.b").alias("b"))
+    links = cut(verified(best, texts, similar), "links").select("a", "b")
+    roots = cut(components(links), "roots")
+    open_, pairs, done, take = met.select("band", "key", "tid"), pairs.select("a", "b"), best, 1
+    while True:
+        pairs = cut(_apart(pairs.join(done, ["a", "b"], "left_anti"), roots), "apart")
+        new = cut(verified(pairs, texts, similar), "links").select("a", "b")
+        done = done.unionByName(pairs)
+        if not new.isEmpty():
+            links = links.unionByName(new)
+            roots = cut(components(links), "roots")
+        open_ = _unsettled(open_, roots)
+        if open_.isEmpty():
+            return roots
+        heads = open_.where(F.col("rank") <= take).select("band", "key", F.col("tid").alias("b"), F.col("root").alias("head_root"), F.col("rank").alias("head"))
+        pairs = open_.join(heads, ["band", "key"]).where("rank > head and root != head_root").select(F.greatest("tid", "b").alias("a"), F.least("tid", "b").alias("b")).distinct()
+        done = done.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
+        open_ = open_.where(F.col("rank") > take).select("band", "key", "tid")
+        take *= 2
 
 
 def _apart(pairs: DataFrame, roots: DataFrame) -> DataFrame:
@@ -175,11 +182,13 @@ def _apart(pairs: DataFrame, roots: DataFrame) -> DataFrame:
 
 
 def _unsettled(members: DataFrame, roots: DataFrame) -> DataFrame:
-    """The members of buckets that are in another class than the representative."""
-    lead = F.min(F.struct(F.xxhash64("band", "tid").alias("h"), "root")).alias("lead")
-    with_root = cut(members.join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid")), "rooted")
-    heads = cut(with_root.groupBy("band", "key").agg(lead).select("band", "key", F.col("lead.root").alias("head")), "heads")
-    return cut(with_root.join(heads, ["band", "key"]).where("root != head").select("band", "key", "tid"), "unsettled")
+    """The members of buckets that hold several classes, with root and rank in the bucket; those of small classes come first."""
+    rooted = cut(members.join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid")), "rooted")
+    sizes = rooted.groupBy("band", "key", "root").agg(F.count("*").alias("n"))
+    several = sizes.groupBy("band", "key").agg(F.count("*").alias("classes")).where("classes > 1").select("band", "key")
+    order = Window.partitionBy("band", "key").orderBy("n", "root", F.xxhash64("band", "tid"), "tid")
+    held = rooted.join(several, ["band", "key"]).join(sizes, ["band", "key", "root"])
+    return cut(held.select("band", "key", "tid", "root", F.row_number().over(order).alias("rank")), "unsettled")
 
 
 def near_dedup(docs: DataFrame, **settings) -> DataFrame:

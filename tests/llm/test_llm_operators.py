@@ -276,6 +276,22 @@ def test_near_classes_match_brute_force(spark):
     assert sum(x.kept for x in got) == len(sizes)
 
 
+def test_near_pairs_in_a_template_family(spark):
+    base, rows, used = words(600, 1).split(), [], []
+    r = random.Random(8)
+    while len(rows) < 120:
+        spots = r.sample(range(5, 590, 6), 14)
+        sides = [{*spots[:2], *spots[2 + 6 * k : 8 + 6 * k]} for k in (0, 1)]
+        if all(len(s & u) < 3 for s in sides for u in used):  # others are below 0.8
+            used += sides
+            n = len(rows)
+            rows += [(n + k, " ".join(f"pair{n}spot{i}" if i in s else w for i, w in enumerate(base)), "en", "a", 1) for k, s in enumerate(sides)]
+    alike = [jaccard(rows[2 * k][1], rows[2 * k + 1][1]) for k in range(60)]
+    assert min(alike) >= 0.8 and max(jaccard(rows[0][1], t[1]) for t in rows[2:]) < 0.8
+    got = {x.doc_id: x.class_id for x in minhash_dedup.near_dedup(frame(spark, rows)).collect()}
+    assert got == {i: i - i % 2 for i in range(120)}
+
+
 def test_near_dedup_stage_keeps_one_of_each(spark, odd, none):
     kept = minhash_dedup.keep_one_of_each(odd)
     assert kept.columns == odd.columns and kept.count() == minhash_dedup.near_dedup(odd).where("kept").count() == 7
