@@ -1,8 +1,8 @@
 """Toxicity by noisy-channel deobfuscation.
 
-A token that looks disguised (figures or symbols among letters, a letter three times or more in a row, letters
-spaced out) is read as a lattice: each character stands for itself or for the letters that it may replace, a run
-may stand for one or two letters. The Viterbi path of least cost under a character trigram model and the channel's
+A token that may be disguised (a figure or symbol that can replace a letter, a letter three times or more in a row)
+is read as a lattice: each character stands for itself or for the letters that it may replace, a run may stand for
+one or two letters. Letters that stand apart form one lattice, in which a word may end between any two. The Viterbi path of least cost under a character trigram model and the channel's
 costs is the restored token. Restored texts are scored by the words, and by the beginnings of words, that mark toxic
 labels.
 
@@ -39,8 +39,8 @@ EDGE = ".,;:?\"'()[]{}<>«»¿¡…*_~`-"
 COST_SWAP, COST_KEEP_ODD, COST_FOLD = 0.7, 6.0, 0.5
 _ODD = re.compile(r"[0134579@$!|+€£8(]")
 _RUN = re.compile(r"(.)\1\1")
-_SPACED = re.compile(r"(?<!\S)(?:[^\W_](?:[ .\-_*]+|$)|[@$!|](?:[ .\-_*]+|$)){4,}")
-_LETTER = re.compile(r"[^\W\d_]")
+_SPACED = re.compile(r"(?<![^\s\"'(\[«¿¡])(?:[^\W_]|[@$!|+(€£])(?:[\s.\-_*]+(?:[^\W_]|[@$!|+(€£])(?![^\s.\-_*,;:?!\"')\]»…]))+")
+_BETWEEN = re.compile(r"[\s.\-_*]+")
 
 
 @dataclass
@@ -77,8 +77,22 @@ def lattice(token: str) -> list[list[tuple[str, float]]]:
 
 def decode(token: str, model: CharModel) -> str:
     """The string of least cost through the token's lattice."""
+    return segmented(lattice(token), model, False)[0]
+
+
+def decode_spaced(letters: str, model: CharModel) -> list[str]:
+    """The words of least cost through the lattice of letters that stood apart: between two of them a word may end."""
+    steps = []
+    for m in re.finditer(r"(.)\1*", letters, re.S):
+        steps += [lattice(m[1])[0] + ([("", COST_FOLD)] if k and len(m[0]) > 2 else []) for k in range(len(m[0]))]
+    return segmented(steps, model, True)
+
+
+def segmented(steps: list[list[tuple[str, float]]], model: CharModel, spaces: bool) -> list[str]:
     best = {"^^": (0.0, "")}
-    for choices in lattice(token):
+    for k, choices in enumerate(steps):
+        if spaces and k:
+            best["^^"] = min((cost + model.cost(c, "$"), text + " ") for c, (cost, text) in best.items())
         step: dict[str, tuple[float, str]] = {}
         for context, (cost, text) in best.items():
             for x, extra in choices:
@@ -89,7 +103,8 @@ def decode(token: str, model: CharModel) -> str:
                 if c not in step or (total, text + x) < step[c]:
                     step[c] = (total, text + x)
         best = step
-    return min((cost + model.cost(c, "$"), text) for c, (cost, text) in best.items())[1]
+    text = min((cost + model.cost(c, "$"), text) for c, (cost, text) in best.items())[1]
+    return text.split(" ") if spaces else [text]
 
 
 class Restorer:
@@ -100,14 +115,14 @@ class Restorer:
 
     def restore(self, token: str) -> str:
         core = token.strip(EDGE).rstrip("!")
-        if len(core) > 2 and len(core) <= 40 and (_ODD.search(core) or _RUN.search(core)) and 2 * len(_LETTER.findall(core)) >= len(core) - 2 and not core.isdigit():
+        if _ODD.search(core) or _RUN.search(core):
             return decode(core, self.model)
         return core
 
     def tokens(self, text: str | None) -> set[str]:
         low = (text or "").lower()
         raw = set(low.split())
-        joined = {re.sub(r"[ .\-_*]+", "", m[0]) for m in _SPACED.finditer(low)} if _maybe_spaced(raw) else set()
+        joined = {_BETWEEN.sub("", m[0]) for m in _SPACED.finditer(low)} if _maybe_spaced(raw) else set()
         out, seen = set(), self.seen
         for t in raw:
             if (r := seen.get(t)) is None:
@@ -117,20 +132,16 @@ class Restorer:
                 if len(t) <= 64:
                     seen[t] = r
             out.add(r)
+            if t.isdigit():  # a number may be meant as well
+                out.add(t)
         for j in joined:
-            out.add(decode(j, self.model) if len(j) <= 40 else j)
+            out.update(decode_spaced(j, self.model))
         out.discard("")
         return out
 
 
 def _maybe_spaced(raw: set[str]) -> bool:
-    single = 0
-    for t in raw:
-        if len(t) == 1 or (len(t) > 6 and t[1] in ".-_*" and t[3] in ".-_*" and t[5] in ".-_*"):
-            single += 1 if len(t) == 1 else 3
-            if single >= 3:
-                return True
-    return False
+    return any(len(t) == 1 or (len(t) > 2 and t[1] in ".-_*") for t in raw)
 
 
 def features(word: str) -> list[str]:

@@ -420,6 +420,18 @@ def test_disguised_words_are_restored():
         assert want in restorer.tokens(shown)
 
 
+def test_heavy_disguise_and_spaced_words_are_restored():
+    grams = Counter()
+    for w in "you are a stupid fool and an idiot the asshole is worthless what a good letter hello world ass".split() * 5:
+        p = "^^" + w + "$"
+        grams.update(p[i : i + 3] for i in range(len(p) - 2))
+    restorer = toxicity.Restorer(toxicity.character_model(grams))
+    cases = [("@$$", "ass"), ("1d!07", "idiot"), ("455h0l3", "asshole"), ("w0r7h13$$", "worthless"), ("you are a s t u p i d fool", "stupid"), ("a $.7.u.p.1.d fool", "stupid")]
+    cases += [("s t u p i d i d i o t", "stupid"), ("s t u p i d i d i o t", "idiot"), ("an a s s", "ass"), ("y o u a r e a s t u p i d i d i o t a n d a w o r t h l e s s f o o l a n d a n a s s h o l e", "worthless"), ("stu" + "u" * 60 + "pid", "stupid")]
+    for shown, want in cases:
+        assert want in restorer.tokens(shown), (shown, restorer.tokens(shown))
+
+
 def test_decode_is_the_least_of_all_paths():
     grams = Counter("".join(p) for p in zip("^^idiot$", "^idiot$", "idiot$", strict=False))
     model = toxicity.character_model(grams)
