@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from joinpoisson.llm.common import cut, hash_sample
 
-PER_CLASS, MAX_FEATURES, MAX_TRIGRAMS, REMEMBERED = 8000, 20_000, 60_000, 100_000
+PER_CLASS, MAX_FEATURES, REMEMBERED = 8000, 20_000, 100_000
 FOLDS, HELD_OUT = 5, 0
 #: Characters and the letters that they commonly replace.
 LEET = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "€": "e", "£": "l"}
@@ -213,7 +213,7 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Tox
     sample = training_texts(docs, labels, per_class)
     by_class = dict(sample.groupBy("toxic").count().collect())
     bad, good = by_class.get(1, 0), by_class.get(0, 0)
-    grams = docs.select(F.coalesce("text", F.lit("")).alias("text")).mapInArrow(_count_trigrams, "g string, n long").groupBy("g").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "g").limit(MAX_TRIGRAMS).collect()
+    grams = docs.select(F.coalesce("text", F.lit("")).alias("text")).mapInArrow(_count_trigrams, "g string, n long").groupBy("g").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "g").collect()
     chars = character_model({r["g"]: float(r["n"]) for r in grams})
     if not bad or not good:
         return ToxicityModel(chars, {})

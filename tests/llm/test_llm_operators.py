@@ -457,6 +457,15 @@ def test_toxicity_on_held_out_labels(spark):
     assert n[1, 1] / (n[1, 1] + n.get((1, 0), 0)) > 0.9 and n.get((0, 1), 0) / (n[0, 0] + n.get((0, 1), 0)) < 0.01
 
 
+def test_character_model_keeps_all_trigrams(spark):
+    signs = [chr(0x4E00 + i) for i in range(3000)]
+    r = random.Random(3)
+    rows = [(k, " ".join("".join(r.choices(signs, k=6)) for _ in range(200)), "zh", "a", 1) for k in range(60)]
+    wanted = {p[i : i + 3] for x in rows for w in x[1].split() for p in [f"^^{w}$"] for i in range(len(p) - 2)}
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    assert len(wanted) > 60_000 and set(toxicity.train(frame(spark, rows), labels).chars.three) == wanted
+
+
 def test_toxicity_cases(spark, odd, none):
     labels = spark.createDataFrame([(1, 1, 1), (1, 1, 0), (3, 0, None), (None, 1, 1), (999, 1, 0), (8, 1, 0)], "doc_id long, quality int, toxic int")
     got = toxicity.digest(odd, labels).collect()
