@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from joinpoisson.llm.common import cut
+from joinpoisson.llm.common import cut, release
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -15,17 +15,24 @@ def components(edges: DataFrame) -> DataFrame:
     a node's neighbours are only aggregated to their least, so no neighbourhood is gathered in one row.
     """
     now = cut(edges.where("a != b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "cc")
+    mark = _mark(now)
     while True:
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
         large = _star(both, greater=True)
-        flipped = large.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-        small = cut(_star(flipped, greater=False), "cc")
-        if small.exceptAll(now).isEmpty() and now.exceptAll(small).isEmpty():
+        small = cut(_star(large.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")), greater=False), "cc")
+        release(now)
+        before, mark, now = mark, _mark(small), small
+        if mark == before:
             break
-        now = small
     return small.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(small.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
 
 
+def _mark(pairs: DataFrame) -> tuple:
+    """Equal for equal sets of pairs; two sums of independent hashes tell others apart."""
+    hashes = [F.sum(F.shiftright(F.xxhash64(F.lit(k), "a", "b"), 20)) for k in (1, 2)]
+    return tuple(pairs.agg(F.count("*"), *hashes).first())
+
+
 def _star(pairs: DataFrame, greater: bool) -> DataFrame:
     least = pairs.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("m", "a"))
     met = pairs.join(least, "a")

@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from joinpoisson.llm.common import WHITE_CLASS, cut, hash128, position_ids, row_key
+from joinpoisson.llm.common import WHITE_CLASS, cut, hash128, keep_rows, row_key
 
 BLOCK = 4096
 
@@ -93,16 +93,4 @@ def exact_dedup(docs: DataFrame, block: int = BLOCK, hash_bits: int | None = Non
 
 def keep_one_of_each(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     """docs without the dropped copies, columns as given. Of rows that are equal throughout one stays."""
-    k1, k2 = row_key(docs)
-    keys = docs.withColumn("__k1", k1).withColumn("__k2", k2)
-    decided = exact_dedup(docs, block).groupBy("row_key1", "row_key2").agg(F.max("kept").alias("stays"), F.count("*").alias("times")).where("stays")
-    decided = decided.select(F.col("row_key1").alias("__k1"), F.col("row_key2").alias("__k2"), F.col("times").alias("__times"))
-    met = cut_light(keys, decided)
-    once = met.where("__times = 1").select(*docs.columns)
-    more = met.where("__times > 1").dropDuplicates(["__k1", "__k2"]).select(*docs.columns)
-    return once.unionByName(more)
-
-
-def cut_light(keys: DataFrame, decided: DataFrame) -> DataFrame:
-    """The rows of keys that are in decided, joined on the row's hash."""
-    return keys.join(decided, ["__k1", "__k2"])
+    return keep_rows(docs, exact_dedup(docs, block))

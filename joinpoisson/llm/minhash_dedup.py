@@ -5,11 +5,12 @@ rate is its weight; each arrival falls on one of REGISTERS registers, a register
 shingle stops once its next arrival is later than the latest register. Two texts agree in a register with the
 probability Jaccard similarity of their weights. All texts of a batch run through the rounds of arrivals together.
 
-Texts that agree in a band of registers are candidates: each is paired with the band's representative (the least
-hash of band and text, so bands have different ones). A text's likeliest candidate is verified first, on the exact
-Jaccard similarity of the two shingle sets; then all candidates whose ends are still in different classes. Where a
-bucket still holds several classes its other texts are paired with the next representatives, then with twice as many,
-until each bucket holds one class or all its pairs are verified. Equal texts meet before.
+Texts that agree in a band of registers are candidates. First each is paired with the representative of its bucket, the
+text that shares most buckets with others (the hub of a group of near copies), and the pairs are verified on the exact
+Jaccard similarity of the two shingle sets. Then, in each bucket that still holds several classes, all texts outside its
+largest class are compared with all texts of the bucket, in blocks of bounded size, by their signatures; pairs of
+different classes whose registers agree in at least DOUBTFUL of all are verified too. So every pair that shares a band
+and may be a link is decided, in two steps, whatever the size of its bucket. Equal texts meet before.
 
 Cases: a null text counts as empty; a text of fewer than five words is one shingle; empty texts are equal and form
 one class; repeated rows belong to one class; ties go to the smaller doc_id, nulls last; an empty table gives no rows.
@@ -21,13 +22,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from joinpoisson.llm.common import cut, row_key
+from joinpoisson.llm.common import cut, keep_rows, release, row_key
 from joinpoisson.llm.components import components
 
 WORDS, SIMILAR, REGISTERS, BAND_ROWS = 5, 0.8, 100, 5
+#: Two texts at 0.8 agree in so few registers with a probability under one in a million (five standard deviations).
+DOUBTFUL, LEFT_BLOCK, RIGHT_BLOCK = 0.6, 512, 4096
 SHINGLES_PER_CHUNK = 400_000
 
 
@@ -88,11 +91,15 @@ def weighted(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return s, 1.0 + np.log(n)
 
 
-def jaccard(a: np.ndarray, b: np.ndarray) -> float:
-    x, y = np.unique(shingles(a)), np.unique(shingles(b))
-    both = len(np.intersect1d(x, y, assume_unique=True))
-    total = len(x) + len(y) - both
-    return both / total if total else 1.0
+def jaccard(x: np.ndarray, y: np.ndarray) -> float:
+    """Of two sorted sets."""
+    if not len(x) or not len(y):
+        return float(len(x) == len(y))
+    if len(x) > len(y):
+        x, y = y, x
+    at = np.searchsorted(y, x)
+    both = int((y[np.minimum(at, len(y) - 1)] == x).sum())
+    return both / (len(x) + len(y) - both)
 
 
 def _lists(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -100,7 +107,7 @@ def _lists(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 
 def band_keys(docs: DataFrame, registers: int = REGISTERS, rows: int = BAND_ROWS) -> DataFrame:
-    """tid and the keys of its bands for every row of docs."""
+    """tid, the keys of its bands, a byte of each register and the number of shingles for every row of docs."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -108,87 +115,141 @@ def band_keys(docs: DataFrame, registers: int = REGISTERS, rows: int = BAND_ROWS
             start = 0
             while start < b.num_rows:
                 stop = max(start + 1, int(np.searchsorted(ends, ends[start] + SHINGLES_PER_CHUNK, "right")) - 1)
-                sig = signatures([weighted(flat[ends[i] : ends[i + 1]]) for i in range(start, stop)], registers)
+                sets = [weighted(flat[ends[i] : ends[i + 1]]) for i in range(start, stop)]
+                sig = signatures(sets, registers)
                 key = np.zeros((stop - start, registers // rows), np.uint64)
                 for i in range(rows):
                     key = mixed(key * np.uint64(0x9E3779B97F4A7C15) + sig[:, i::rows][:, : key.shape[1]])
                 offsets = pa.array(np.arange(0, key.size + 1, key.shape[1]), pa.int32())
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(start, stop - start), pa.ListArray.from_arrays(offsets, pa.array(key.ravel().view(np.int64)))], names=["tid", "bands"])
+                short = [x.tobytes() for x in (mixed(sig) & np.uint64(255)).astype(np.uint8)]
+                columns = [pa.ListArray.from_arrays(offsets, pa.array(key.ravel().view(np.int64))), pa.array(short, pa.binary()), pa.array([len(x) for x, _ in sets], pa.int32())]
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(start, stop - start), *columns], names=["tid", "bands", "sig", "n"])
                 start = stop
 
-    return docs.select(text_id(F.col("text")).alias("tid"), word_hashes(F.col("text")).alias("w")).mapInArrow(run, "tid binary, bands array<bigint>")
+    return docs.select(text_id(F.col("text")).alias("tid"), word_hashes(F.col("text")).alias("w")).mapInArrow(run, "tid binary, bands array<bigint>, sig binary, n int")
 
 
-def verified(pairs: DataFrame, texts: DataFrame, similar: float = SIMILAR) -> DataFrame:
-    """The pairs (a, b) of text ids whose shingle sets are similar, with jaccard. texts: tid, text."""
+def shingle_sets(texts: DataFrame) -> DataFrame:
+    """tid and the sorted set of shingles for every row of texts (tid, text)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            flat, ends = _lists(b.column(1))
+            sets = [np.unique(shingles(flat[ends[i] : ends[i + 1]])) for i in range(b.num_rows)]
+            offsets = pa.array(np.concatenate([[0], np.cumsum([len(x) for x in sets])]), pa.int32())
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(offsets, pa.array(np.concatenate([*sets, np.zeros(0, np.uint64)]).view(np.int64)))], names=["tid", "set"])
+
+    return texts.select("tid", word_hashes(F.col("text")).alias("w")).mapInArrow(run, "tid binary, set array<bigint>")
+
+
+def verified(pairs: DataFrame, sets: DataFrame, similar: float = SIMILAR) -> DataFrame:
+    """The pairs (a, b) of text ids whose shingle sets are similar, with jaccard. sets: tid, set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             (x, xe), (y, ye) = _lists(b.column(2)), _lists(b.column(3))
+            x, y = x.view(np.uint64), y.view(np.uint64)
             found = [jaccard(x[xe[i] : xe[i + 1]], y[ye[i] : ye[i + 1]]) for i in range(b.num_rows)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(found, pa.float64())], names=["a", "b", "jaccard"])
 
-    one = pairs.join(texts.select(F.col("tid").alias("a"), F.col("text").alias("ta")), "a")
-    two = one.join(texts.select(F.col("tid").alias("b"), F.col("text").alias("tb")), "b")
-    both = two.select("a", "b", word_hashes(F.col("ta")).alias("wa"), word_hashes(F.col("tb")).alias("wb"))
-    return both.mapInArrow(run, "a binary, b binary, jaccard double").where(F.col("jaccard") >= similar)
-
-
-def _star(members: DataFrame) -> DataFrame:
-    """members (band, key, tid) -> the members without the representative of their bucket, b."""
-    lead = F.min(F.struct(F.xxhash64("band", "tid").alias("h"), "tid")).alias("lead")
-    heads = cut(members.groupBy("band", "key").agg(lead, F.count("*").alias("n")).where("n > 1").select("band", "key", F.col("lead.tid").alias("b")), "heads")
-    return cut(members.join(heads, ["band", "key"]).where("tid != b"), "met")
+    one = pairs.select("a", "b").join(sets.select(F.col("tid").alias("a"), F.col("set").alias("sa")), "a")
+    two = one.join(sets.select(F.col("tid").alias("b"), F.col("set").alias("sb")), "b")
+    return two.select("a", "b", "sa", "sb").mapInArrow(run, "a binary, b binary, jaccard double").where(F.col("jaccard") >= similar)
 
 
 def near_classes(docs: DataFrame, similar: float = SIMILAR, registers: int = REGISTERS, rows: int = BAND_ROWS) -> DataFrame:
     """(tid, root) for the texts of docs that are in a class with another text."""
     bands = cut(band_keys(docs, registers, rows), "bands")
-    once = bands.groupBy("tid").agg(F.first("bands").alias("bands"))
-    members = cut(once.select("tid", F.posexplode("bands").alias("band", "key")), "members")
-    crowded = members.groupBy("band", "key").agg(F.count("*").alias("n")).where("n > 1").select("band", "key")
-    open_ = cut(members.join(crowded, ["band", "key"]), "crowded")
-    needed = open_.select("tid").distinct()
-    texts = docs.select(text_id(F.col("text")).alias("tid"), F.coalesce("text", F.lit("")).alias("text")).join(needed, "tid", "left_semi")
-    texts = cut(texts.dropDuplicates(["tid"]), "near-texts")
-    met = _star(open_)
-    pairs = cut(met.groupBy(F.col("tid").alias("a"), "b").agg(F.count("*").alias("bands")), "pairs")
-    best = pairs.groupBy("a").agg(F.max(F.struct("bands", "b")).alias("best")).select("a", F.col("best.b").alias("b"))
-    links = cut(verified(best, texts, similar), "links").select("a", "b")
-    roots = cut(components(links), "roots")
-    open_, pairs, done, take = met.select("band", "key", "tid"), pairs.select("a", "b"), best, 1
-    while True:
-        pairs = cut(_apart(pairs.join(done, ["a", "b"], "left_anti"), roots), "apart")
-        new = cut(verified(pairs, texts, similar), "links").select("a", "b")
-        done = done.unionByName(pairs)
-        if not new.isEmpty():
-            links = links.unionByName(new)
-            roots = cut(components(links), "roots")
-        open_ = _unsettled(open_, roots)
-        if open_.isEmpty():
-            return roots
-        heads = open_.where(F.col("rank") <= take).select("band", "key", F.col("tid").alias("b"), F.col("root").alias("head_root"), F.col("rank").alias("head"))
-        pairs = open_.join(heads, ["band", "key"]).where("rank > head and root != head_root").select(F.greatest("tid", "b").alias("a"), F.least("tid", "b").alias("b")).distinct()
-        done = done.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-        open_ = open_.where(F.col("rank") > take).select("band", "key", "tid")
-        take *= 2
-
-
-def _apart(pairs: DataFrame, roots: DataFrame) -> DataFrame:
-    """The pairs whose ends are in different classes."""
-    ra, rb = roots.select(F.col("node").alias("a"), F.col("root").alias("ra")), roots.select(F.col("node").alias("b"), F.col("root").alias("rb"))
-    met = pairs.join(ra, "a", "left").join(rb, "b", "left")
-    return met.where(F.coalesce("ra", "a") != F.coalesce("rb", "b")).select("a", "b")
-
-
-def _unsettled(members: DataFrame, roots: DataFrame) -> DataFrame:
-    """The members of buckets that hold several classes, with root and rank in the bucket; those of small classes come first."""
-    rooted = cut(members.join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid")), "rooted")
-    sizes = rooted.groupBy("band", "key", "root").agg(F.count("*").alias("n"))
-    several = sizes.groupBy("band", "key").agg(F.count("*").alias("classes")).where("classes > 1").select("band", "key")
-    order = Window.partitionBy("band", "key").orderBy("n", "root", F.xxhash64("band", "tid"), "tid")
-    held = rooted.join(several, ["band", "key"]).join(sizes, ["band", "key", "root"])
-    return cut(held.select("band", "key", "tid", "root", F.row_number().over(order).alias("rank")), "unsettled")
+    once = cut(bands.groupBy("tid").agg(*[F.first(c).alias(c) for c in ("bands", "sig", "n")]), "signatures")
+    release(bands)
+    members = once.select("tid", "n", F.posexplode("bands").alias("band", "key"))
+    crowded = members.groupBy("band", "key").agg(F.count("*").alias("held")).where("held > 1")
+    met = cut(members.join(crowded, ["band", "key"]), "crowded")
+    hubs = met.groupBy("tid").agg(F.sum("held").alias("weight"))
+    open_ = cut(met.join(hubs, "tid"), "members")
+    release(met)
+    texts = docs.select(text_id(F.col("text")).alias("tid"), F.coalesce("text", F.lit("")).alias("text")).join(open_.select("tid"), "tid", "left_semi")
+    sets = cut(shingle_sets(texts.dropDuplicates(["tid"])), "shingles")
+    lead = F.max(F.struct("weight", F.xxhash64("tid").alias("h"), "tid", "n")).alias("lead")
+    heads = open_.groupBy("band", "key").agg(lead).select("band", "key", F.col("lead.tid").alias("b"), F.col("lead.n").alias("nb"))
+    alike = F.least("n", "nb") >= F.greatest("n", "nb") * similar  # else the sizes alone forbid the similarity
+    pairs = cut(open_.join(heads, ["band", "key"]).where((F.col("tid") != F.col("b")) & alike).select(F.greatest("tid", "b").alias("a"), F.least("tid", "b").alias("b")).distinct(), "pairs")
+    links = cut(verified(pairs, sets, similar).select("a", "b"), "links")
+    roots = components(links)
+    rest = cut(doubtful(open_, once, roots, registers, rows, similar).distinct().join(pairs, ["a", "b"], "left_anti"), "rest")
+    more = cut(verified(rest, sets, similar).select("a", "b"), "links")
+    out = roots if more.isEmpty() else components(links.unionByName(more))
+    release(open_, once, sets, pairs, rest)
+    return out
+
+
+def doubtful(members: DataFrame, once: DataFrame, roots: DataFrame, registers: int, rows: int, similar: float) -> DataFrame:
+    """The pairs of texts in one bucket but different classes whose signatures do not rule a link out; each comes from the
+    first bucket that it shares. members: band, key, tid; once: tid, sig, n; roots: node, root."""
+    rooted = members.select("band", "key", "tid").join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid"))
+    rooted = cut(rooted, "rooted")
+    sizes = rooted.groupBy("band", "key", "root").agg(F.count("*").alias("c"))
+    buckets = sizes.groupBy("band", "key").agg(F.count("*").alias("classes"), F.sum("c").alias("total"), F.max(F.struct("c", "root")).alias("big")).where("classes > 1")
+    buckets = buckets.select("band", "key", F.col("big.root").alias("big"), F.ceil(F.col("total") / RIGHT_BLOCK).cast("int").alias("rights"), F.ceil((F.col("total") - F.col("big.c")) / LEFT_BLOCK).cast("int").alias("lefts"))
+    held = cut(rooted.join(buckets, ["band", "key"]).join(once.select("tid", "sig", "n"), "tid"), "unsettled")
+    deal = lambda n: F.pmod(F.xxhash64("band", "tid"), F.col(n)).cast("int")
+    each = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    whole = ["band", "key", "tid", "root", "sig", "n"]
+    left = held.where("root != big").select(*whole, F.lit(0).alias("side"), deal("lefts").alias("lb"), each("rights").alias("rb"))
+    right = held.select(*whole, F.lit(1).alias("side"), each("lefts").alias("lb"), deal("rights").alias("rb"))
+    dealt = left.unionByName(right).select("band", "key", "lb", "rb", "side", "tid", "root", "sig", "n")
+    least, per_band = int(DOUBTFUL * registers), registers // rows
+
+    def compare(group: pa.Table) -> tuple[list, list]:
+        side = group.column("side").to_numpy()
+        cut_at = int((side == 0).sum())
+        if not cut_at or cut_at == len(side):
+            return [], []
+        tid, root = group.column("tid").to_pylist(), group.column("root").to_pylist()
+        sig = np.frombuffer(b"".join(group.column("sig").to_pylist()), np.uint8).reshape(len(side), -1)
+        n, band = group.column("n").to_numpy(), group.column("band")[0].as_py()
+        names = {r: i for i, r in enumerate(set(root))}
+        kind = np.array([names[r] for r in root])
+        a, b = [], []
+        for i in range(cut_at):
+            may = np.flatnonzero((kind[cut_at:] != kind[i]) & (np.minimum(n[cut_at:], n[i]) >= similar * np.maximum(n[cut_at:], n[i]))) + cut_at
+            if not len(may):
+                continue
+            same = sig[may] == sig[i]
+            earlier = np.zeros(len(may), bool)
+            for k in range(band):
+                earlier |= same[:, k * rows : (k + 1) * rows].all(axis=1)
+            for j in may[(same.sum(axis=1) >= least) & ~earlier]:
+                a.append(max(tid[i], tid[j]))
+                b.append(min(tid[i], tid[j]))
+        return a, b
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for groups in _groups(batches, ("band", "key", "lb", "rb")):
+            found = [compare(g) for g in groups]
+            yield pa.RecordBatch.from_arrays([pa.array([x for f in found for x in f[k]], pa.binary()) for k in (0, 1)], names=["a", "b"])
+
+    keys = ["band", "key", "lb", "rb"]
+    assert per_band * rows == registers
+    return dealt.repartition(*keys).sortWithinPartitions(*keys, "side").mapInArrow(run, "a binary, b binary")
+
+
+def _groups(batches: Iterator[pa.RecordBatch], keys: tuple[str, ...]) -> Iterator[list[pa.Table]]:
+    """The groups of equal keys of sorted batches, a list of whole ones at a time."""
+    kept: list[pa.RecordBatch] = []
+    for b in batches:
+        if not b.num_rows:
+            continue
+        kept.append(b)
+        table = pa.Table.from_batches(kept)
+        columns = [table.column(k).to_numpy() for k in keys]
+        starts = np.flatnonzero(np.logical_or.reduce([c[1:] != c[:-1] for c in columns])) + 1
+        if len(starts):
+            ends = [0, *starts.tolist()]
+            yield [table.slice(i, j - i) for i, j in zip(ends, ends[1:], strict=False)]
+            kept = table.slice(ends[-1]).to_batches()
+    if kept:
+        yield [pa.Table.from_batches(kept)]
 
 
 def near_dedup(docs: DataFrame, **settings) -> DataFrame:
@@ -205,9 +266,4 @@ def near_dedup(docs: DataFrame, **settings) -> DataFrame:
 
 def keep_one_of_each(docs: DataFrame, **settings) -> DataFrame:
     """docs with one document of each class, columns as given."""
-    k1, k2 = row_key(docs)
-    kept = near_dedup(docs, **settings).groupBy("row_key1", "row_key2").agg(F.max("kept").alias("stays"), F.count("*").alias("times")).where("stays")
-    kept = kept.select(F.col("row_key1").alias("__k1"), F.col("row_key2").alias("__k2"), F.col("times").alias("__times"))
-    met = docs.withColumn("__k1", k1).withColumn("__k2", k2).join(kept, ["__k1", "__k2"])
-    once = met.where("__times = 1").select(*docs.columns)
-    return once.unionByName(met.where("__times > 1").dropDuplicates(["__k1", "__k2"]).select(*docs.columns))
+    return keep_rows(docs, near_dedup(docs, **settings))

@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from joinpoisson.llm.common import cut, hash128
+from joinpoisson.llm.common import cut, hash128, packed, unpacked
 
 #: Fixed values of the contract: weights in the order of the sources, share of all words, most copies.
 WEIGHTS, SHARE, MOST, SEED = (3, 1, 2), 1.5, 2, 20240607
@@ -81,7 +81,7 @@ def digest(docs: DataFrame, **settings) -> DataFrame:
 
 def mix(docs: DataFrame, **settings) -> DataFrame:
     """docs with every row as often as it is taken, columns as given."""
-    k1, k2 = hash128("__k", F.col("doc_id"), F.col("source"), F.col("text"))
-    drawn = copies(docs, **settings).where("copies > 0").select(F.col("k1").alias("__k1"), F.col("k2").alias("__k2"), F.col("copies").alias("__copies"))
-    met = docs.withColumn("__k1", k1).withColumn("__k2", k2).join(drawn, ["__k1", "__k2"])
-    return met.withColumn("__again", F.explode(F.sequence(F.lit(1), F.col("__copies").cast("int")))).select(*docs.columns)
+    keyed = docs.select(*hash128("k", F.col("doc_id"), F.col("source"), F.col("text")), packed(docs).alias("row"))
+    drawn = copies(docs, **settings).where("copies > 0").select("k1", "k2", "copies")
+    each = keyed.join(drawn, ["k1", "k2"]).select("row", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))).alias("again"))
+    return each.select(*unpacked("row", docs.columns))

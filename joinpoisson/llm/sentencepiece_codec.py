@@ -4,9 +4,12 @@ The text's spaces become U+2581 and one is put in front. For each prefix of the
 prefix's own encoding: the piece whose start leaves a shorter prefix whose last piece goes with it, that is, whose
 two texts side by side are encoded as just these two pieces. So every position keeps one backpointer, no further
 back than the longest piece, and the positions within that window are all that can still be extended. Whenever
-their backpointer paths meet in one boundary, the ids up to it are final and leave the window. No path crosses a
-character that the vocabulary lacks (it becomes byte pieces) nor goes from another character to U+2581, so such
-places are boundaries at once, and what stands between two of them is remembered in a bounded table.
+their backpointer paths meet in one boundary, the ids up to it are final and leave the window (`_commits`).
+
+No path crosses a character that the vocabulary lacks (it becomes byte pieces), a line feed, nor goes from another
+character to U+2581: there all paths meet for certain, in an ordinary text after every word. As the window is empty
+behind such a boundary, what it commits up to the next one depends on the characters between the two alone; a bounded
+table remembers it for up to KEPT of them.
 
 Pieces made of several U+2581 all have the same, lowest score, so a run of spaces is merged after all else,
 the leftmost possible pair first.
@@ -19,13 +22,13 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import ahocorasick
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
 SPACE = "▁"
-REMEMBERED, PAIRS, IDS_PER_BATCH = 100_000, 300_000, 1_000_000
-SHORT = 64
+REMEMBERED, PAIRS, IDS_PER_BATCH, KEPT = 100_000, 300_000, 1_000_000, 64
 
 
 def vocabulary_path(name: str = "piece_bpe_32k.model") -> str:
@@ -51,15 +54,17 @@ class StreamingCodec:
         for b, i in enumerate(self.byte_id):
             self.shown[i] = chr(b) if b < 128 else chr(0xDC00 + b)
         self.halves: dict[str, tuple[float, str, str]] = {}
-        self.trie: dict = {}
+        #: The pieces that a window may hold, by their number in the automaton that finds them.
+        self.names: list[str] = []
+        self.finder = ahocorasick.Automaton()
         for p in self.id_of:
             if SPACE not in p[1:] and (half := self._last_merge(p)):
                 self.halves[p] = half
-                node = self.trie
-                for c in p:
-                    node = node.setdefault(c, {})
-                node[""] = p
-        self.pairs: dict[tuple[str, str], bool] = {}
+                self.finder.add_word(p, (len(p), len(self.names)))
+                self.names.append(p)
+        self.finder.make_automaton()
+        self.numbered, self.sizes = [self.id_of[p] for p in self.names], [len(p) for p in self.names]
+        self.pairs: dict[int, bool] = {}
         # Two generations each of what parts and words became: a full young one becomes the old one.
         self.known: list[dict[str, tuple[int, ...]]] = [{}, {}]
         self.words: list[dict[str, tuple[int, ...]]] = [{}, {}]
@@ -80,134 +85,121 @@ class StreamingCodec:
     def _fits(self, left: str, right: str) -> bool:
         """Whether left + right is encoded as the two. Undoing their merges from the latest, the parts on both sides of
         the boundary stand side by side until the merge undone before; a merge of them with a better rank comes first."""
-        if (x := self.pairs.get((left, right))) is not None:
-            return x
-        if len(self.pairs) >= PAIRS:
-            self.pairs.clear()
-        a, b, limit, fits = left, right, float("inf"), True
+        a, b, limit = left, right, float("inf")
         while True:
             score = self.score.get(a + b)
             if score is not None and -score < limit:
-                fits = False
-                break
+                return False
             (ra, _, tail), (rb, head, _) = self.halves[a], self.halves[b]
             if ra > rb:
                 limit, a = ra, tail
             elif rb >= 0:
                 limit, b = rb + 0.5, head  # of equal ranks the boundary's is further left
             else:
-                break
-        self.pairs[left, right] = fits
+                return True
+
+    def _pair(self, left: int, right: int) -> bool:
+        if len(self.pairs) >= PAIRS:
+            self.pairs.clear()
+        fits = self.pairs[left << 20 | right] = self._fits(self.names[left], self.names[right])
         return fits
 
-    def pieces(self, text: str) -> Iterator[str]:
-        """The pieces of a text, each given out as soon as the paths of the window have met behind it."""
-        ending: dict[int, str] = {0: ""}
-        given, n, trie, fits = 0, len(text), self.trie, self._fits
-        for j in range(n):
-            if text[j] not in trie:
-                yield from self._path(ending, given, j)
-                yield text[j]
-                ending, given = {j + 1: ""}, j + 1
-                continue
-            left, node, i = ending[j], trie, j
-            while i < n and (node := node.get(text[i])) is not None:
-                i += 1
-                piece = node.get("")
-                if piece is not None and i not in ending and (not left or fits(left, piece)):
-                    ending[i] = piece
-            if j - given > 4 * self.longest:
-                met = self._meeting(ending, j)
-                if met > given:
-                    yield from self._path(ending, given, met)
-                    ending, given = {k: p for k, p in ending.items() if k > met} | {met: ""}, met
-        yield from self._path(ending, given, n)
-
-    def _window(self, text: str) -> list[str]:
-        """The pieces of a text that one window holds: its paths meet at its end."""
-        n, trie, pairs = len(text), self.trie, self.pairs
-        ending: list[str | None] = [None] * (n + 1)
-        for j in range(n):
-            left, node, i = ending[j], trie, j
-            if text[j] not in trie:
-                ending[j + 1] = text[j]
+    def _commits(self, text: str) -> Iterator[list[int]]:
+        """The ids of a text without inner boundaries, as the window commits them."""
+        window, base, n, room = [-1], 0, 1, 3 * self.longest  # window[k]: the piece that ends at base + k, -1 where none does
+        known, put = self.pairs.get, window.append
+        for last, (size, piece) in self.finder.iter(text):
+            k = last + 1 - base
+            if k < n:
                 continue
-            free = j == 0 or left not in self.halves
-            for c in text[j:]:
-                node = node.get(c)
-                if node is None:
-                    break
-                i += 1
-                if ending[i] is None and (piece := node.get("")) is not None:
-                    if free:
-                        ending[i] = piece
-                    else:
-                        fits = pairs.get((left, piece))
-                        if fits or (fits is None and self._fits(left, piece)):
-                            ending[i] = piece
-        return self._path(ending, 0, n)
-
-    def _meeting(self, ending: dict[int, str], i: int) -> int:
-        """The last boundary on the paths of all positions behind i, which later pieces start from."""
-        heads = {k for k in ending if k > i}
+            if k > n:  # characters that the vocabulary lacks: all paths end before them
+                yield self._path(window, 0, n - 1)
+                yield [x for c in text[base + n - 1 : last] for x in self._lacking(c)]
+                base, k, n = last, 1, 1
+                window[:] = [-1]
+            left = window[k - size]
+            if left >= 0:
+                fits = known(left << 20 | piece)
+                if not (self._pair(left, piece) if fits is None else fits):
+                    continue
+            put(piece)
+            n += 1
+            if n > room:
+                met = self._meeting(window)
+                yield self._path(window, 0, met)
+                window[: met + 1] = [-1]
+                base, n = base + met, n - met
+                room = n + 2 * self.longest
+        yield self._path(window, 0, n - 1)
+        if base + n <= len(text):
+            yield [x for c in text[base + n - 1 :] for x in self._lacking(c)]
+
+    def _lacking(self, c: str) -> list[int]:
+        return [self.id_of[c]] if c in self.id_of else [self.byte_id[b] for b in c.encode("utf-8")]
+
+    def _meeting(self, window: list[int]) -> int:
+        """The last boundary on the paths of all positions that a later piece can start from."""
+        heads = set(range(max(0, len(window) - self.longest), len(window)))
         while len(heads) > 1:
             last = max(heads)
-            if not ending[last]:
-                return min(heads)
             heads.remove(last)
-            heads.add(last - len(ending[last]))
+            heads.add(last - self.sizes[window[last]])
         return heads.pop()
 
-    def _path(self, ending: dict[int, str], start: int, end: int) -> list[str]:
-        back = []
+    def _path(self, window: list[int], start: int, end: int) -> list[int]:
+        back, ids, sizes = [], self.numbered, self.sizes
         while end > start:
-            back.append(ending[end])
-            end -= len(ending[end])
-        return back[::-1]
+            piece = window[end]
+            back.append(ids[piece])
+            end -= sizes[piece]
+        back.reverse()
+        return back
 
-    def _spaces(self, n: int) -> list[str]:
+    def _spaces(self, n: int) -> list[int]:
         """The merges of n spaces: equal scores, so always the leftmost pair that is a piece."""
         done: list[int] = []
         for _ in range(n):
             done.append(1)
             while len(done) > 1 and SPACE * (done[-2] + done[-1]) in self.score:
                 done[-2:] = [done[-2] + done[-1]]
-        return [SPACE * k for k in done]
+        return [self.id_of[SPACE * k] for k in done]
 
     def _part(self, part: str) -> tuple[int, ...]:
+        """The ids between two boundaries at which all paths meet."""
         spaces = len(part) - len(part.lstrip(SPACE))
-        start = part[max(0, spaces - 1) :]
-        tail = self._window(start) if len(start) <= SHORT else list(self.pieces(start))
+        ids = [i for run in self._commits(part[max(0, spaces - 1) :]) for i in run]
         if spaces > 1:
-            alone = bool(tail) and tail[0] == SPACE
-            tail = self._spaces(spaces - (not alone)) + tail[alone:]
-        try:
-            return tuple([self.id_of[p] for p in tail])
-        except KeyError:
-            return tuple(x for p in tail for x in ((self.id_of[p],) if p in self.id_of else (self.byte_id[b] for b in p.encode("utf-8"))))
+            alone = bool(ids) and ids[0] == self.id_of[SPACE]
+            ids = self._spaces(spaces - (not alone)) + ids[alone:]
+        return tuple(ids)
 
     def encode(self, text: str | None) -> list[int]:
-        if not text:
-            return []
         ids: list[int] = []
+        for run in self.stream(text):
+            ids += run
+        return ids
+
+    def stream(self, text: str | None) -> Iterator[tuple[int, ...]]:
+        """The ids of a text, run by run as they are committed at the latest."""
+        if not text:
+            return
         if SPACE in text or "  " in text or text[0] == " " or text[-1] == " ":
-            for part in self.parts.findall(SPACE + text.replace(" ", SPACE)):
-                ids += self._remembered(part)
-            return ids
+            for part in self.parts.finditer(SPACE + text.replace(" ", SPACE)):
+                yield self._remembered(part[0])
+            return
         young, old = self.words
         for word in text.split(" "):
             found = young.get(word)
             if found is None:
                 if (found := old.get(word)) is None:
                     if "\n" in word:
-                        for part in self.parts.findall(SPACE + word):
-                            ids += self._remembered(part)
+                        for part in self.parts.finditer(SPACE + word):
+                            yield self._remembered(part[0])
                         continue
                     found = self._part(SPACE + word)
                 self._keep(self.words, word, found)
                 young, old = self.words
-            ids += found
-        return ids
+            yield found
 
     def _remembered(self, part: str) -> tuple[int, ...]:
         young, old = self.known
@@ -220,7 +212,7 @@ class StreamingCodec:
 
     @staticmethod
     def _keep(tables: list[dict[str, tuple[int, ...]]], text: str, ids: tuple[int, ...]) -> None:
-        if len(text) <= SHORT:
+        if len(text) <= KEPT:
             if len(tables[0]) >= REMEMBERED:
                 tables[:] = [{}, tables[0]]
             tables[0][text] = ids

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from joinpoisson.llm.common import cut, hash_sample
+from joinpoisson.llm.common import col, cut, hash_sample
 
 PER_CLASS, MAX_FEATURES, REMEMBERED = 8000, 20_000, 100_000
 FOLDS, HELD_OUT = 5, 0
@@ -263,7 +263,7 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05) -> tuple[float,
 
 def score(docs: DataFrame, model: ToxicityModel, keep: tuple[str, ...] = ("doc_id",), below: float | None = None) -> DataFrame:
     """The kept columns with score for every row of docs; below: instead, the kept columns of the rows that score less."""
-    source = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(keep)], F.col("text").alias("scored"))
+    source = docs.select(*[col(c).alias(f"c{i}") for i, c in enumerate(keep)], F.col("text").alias("scored"))
     shape = ", ".join(f"c{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(keep)) + ", score double"
 
     def run(batches):

@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import time
 from collections import Counter, defaultdict
 
 import numpy as np
@@ -32,7 +33,7 @@ def odd_rows():
 def frame(spark, rows, extra=True):
     df = spark.createDataFrame(rows, DOCS)
     if extra:  # names that clash with inner ones
-        df = df.select("*", *[F.lit(k).alias(n) for k, n in enumerate(("row", "size", "w", "tid", "part", "shard", "key", "times", "score", "name", "level"))])
+        df = df.select("*", *[F.lit(k).alias(n) for k, n in enumerate(("row", "size", "w", "tid", "part", "shard", "key", "times", "score", "name", "level", "__k1", "__K2", "__times", "__copies", "__again", "__lines", "N_lines", "kept_text", "row_key1", "k1", "c0", "a.b", "x`y"))])
     return df
 
 
@@ -83,9 +84,9 @@ def test_exact_dedup_stage_keeps_columns_and_one_of_repeated_rows(spark, odd, no
 
 def test_line_dedup_matches_brute_force(spark, none):
     rows = [(i, f"Head Line\nown {i}\n  head line \t\n\nfoot", "en", "a", 1) for i in range(9)] + [(9, "foot\n" * 3, "en", "a", 1), (10, None, None, None, None), (11, "", "en", "a", 0), (12, "HEAD LINE", "x", "y", 1), (12, "HEAD LINE", "x", "y", 1)]
-    got = {(r.doc_id, r.n_lines, r.n_dropped, r.kept_text) for r in line_dedup.line_dedup(frame(spark, rows)).collect()}
+    got = {(r.doc_id, r.n_lines, r.n_dropped, r.kept_text) for r in line_dedup.line_dedup(frame(spark, rows, extra=False)).collect()}
     key = lambda x: x.strip(" \t\n\x0b\x0c\r").lower()
-    seen = Counter(k for r in rows for k in {key(x) for x in (r[1] or "").split("\n")})
+    seen = Counter(k for _, k in {(r[0], key(x)) for r in rows for x in (r[1] or "").split("\n")})
     want = set()
     for r in rows:
         lines = (r[1] or "").split("\n")
@@ -93,6 +94,28 @@ def test_line_dedup_matches_brute_force(spark, none):
         want.add((r[0], len(lines), len(lines) - len(left), "\n".join(left)))
     assert got == want
     assert line_dedup.line_dedup(none).count() == 0
+    again = [(1, "same line", "en", "a", 1)] * 12  # one document
+    assert {(r.n_dropped, r.kept_text) for r in line_dedup.line_dedup(frame(spark, again, extra=False)).collect()} == {(0, "same line")}
+
+
+def test_line_dedup_of_a_text_of_many_lines(spark):
+    """Time in proportion to the lines: a text of 100,000 lines, every third of them frequent, in seconds."""
+    lines = [f"line {i}" for i in range(100_000)]
+    docs = spark.createDataFrame([(0, "\n".join(lines))] + [(k, "\n".join(lines[::3])) for k in range(1, 10)], "doc_id long, text string")
+    began = time.time()
+    got = {r.doc_id: (r.n_lines, r.n_dropped, r.kept_text) for r in line_dedup.line_dedup(docs).collect()}
+    assert time.time() - began < 60
+    assert got[0] == (100_000, 33_334, "\n".join(x for i, x in enumerate(lines) if i % 3)) and got[1][1:] == (33_334, "")
+
+
+def test_line_runs_are_read_without_an_exchange(spark):
+    from joinpoisson.operators.metrics import plan_shape
+
+    store = line_dedup.LineRuns(spark, fanout=3)
+    for b in range(2):
+        store.ingest(spark.range(b, 50 + b).select(F.col("id").alias("h1"), F.col("id").alias("h2")))
+    first, second = store.runs()
+    assert plan_shape(first.join(second, line_dedup.KEY))["Exchange"] == 0
 
 
 def test_line_runs_compact_and_tell_new_keys(spark):
@@ -292,6 +315,20 @@ def test_near_pairs_in_a_template_family(spark):
     assert got == {i: i - i % 2 for i in range(120)}
 
 
+def test_stages_keep_rows_and_values_of_clashing_columns(spark):
+    """Different texts all come back, with the values of columns that have the names that the stages use inside."""
+    rows = [(i, words(30, i), "en", "a", 1) for i in range(6)]
+    docs = frame(spark, rows)
+    want = sorted(tuple(x) for x in docs.collect())
+    assert sorted(tuple(x) for x in exact_dedup.keep_one_of_each(docs).collect()) == want
+    assert sorted(tuple(x) for x in minhash_dedup.keep_one_of_each(docs).collect()) == want
+    mixed = [tuple(x) for x in mixing.mix(docs).collect()]
+    assert set(mixed) <= set(want) and mixed and mixing.mix(docs).columns == docs.columns
+    done = line_dedup.line_dedup(docs)
+    assert sorted(tuple(x)[: len(docs.columns)] for x in done.collect()) == want
+    assert done.columns[len(docs.columns) :] == ["n_lines_", "n_dropped", "kept_text_"]
+
+
 def test_near_dedup_stage_keeps_one_of_each(spark, odd, none):
     kept = minhash_dedup.keep_one_of_each(odd)
     assert kept.columns == odd.columns and kept.count() == minhash_dedup.near_dedup(odd).where("kept").count() == 7
@@ -402,12 +439,19 @@ def test_codec_equals_the_library_and_round_trips(spark, odd, none, small):
     assert sentencepiece_codec.encode_documents(none).count() == 0
 
 
-def test_stream_commits_before_the_end():
+def test_stream_commits_within_a_bounded_window(spark, small):
+    """What is not committed yet is never longer than a few of the longest pieces, in a text without spaces and in ordinary ones."""
     codec = sentencepiece_codec.StreamingCodec(sentencepiece_codec.vocabulary_path())
-    text = "abracadabra" * 400
-    pieces = codec.pieces(text)
-    assert "".join([next(pieces) for _ in range(5)]) == text[: sum(len(p) for p in list(codec.pieces(text))[:5])]
-    assert "".join(codec.pieces(text)) == text
+    for text in ("abracadabra" * 400, "xyz" * 2000):
+        runs = list(codec._commits(text))
+        assert len(runs) > len(text) // (8 * codec.longest) and max(len(codec.decode(r)) + 1 for r in runs) <= 6 * codec.longest
+        assert [i for r in runs for i in r] == [i for r in codec._commits(text) for i in r]
+        assert "".join(codec.shown[i] for r in runs for i in r) == text
+    ordinary = [r.text for r in spark.read.parquet(f"{small}/documents.parquet").select("text").collect() if r.text]
+    for text in ordinary:
+        runs = list(codec.stream(text))
+        assert max(len(r) for r in runs) <= max(len(w) for w in text.split(" ")) + 1
+        assert [i for r in runs for i in r] == codec.encode(text)
 
 
 def test_disguised_words_are_restored():
