@@ -26,12 +26,51 @@ def shared_dir(spark: SparkSession) -> str:
     return held.rstrip("/")
 
 
+#: Once a table is written, nothing needs the shuffle files that led to it.
+_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     """Write df to the shared folder and read it again: ends the lineage and fixes ids made from row positions."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    before = spark.conf.get(_CLEAN, "false")
+    spark.conf.set(_CLEAN, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(_CLEAN, before)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._cut_path = path
+    return out
+
+
+def cut_bucketed(df: DataFrame, name: str, keys: list[str], buckets: int | None = None) -> DataFrame:
+    """`cut` into hash buckets of the keys, sorted within each: a join or grouping on the keys reads it without an exchange.
+    Buckets: as many as the session's shuffle partitions, so that what is exchanged for such a join meets them."""
+    spark = df.sparkSession
+    n = buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    table = f"{name.replace('-', '_')}_{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/{table}"
+    before = spark.conf.get(_CLEAN, "false")
+    spark.conf.set(_CLEAN, "true")
+    try:
+        df.repartition(n, *keys).write.bucketBy(n, *keys).sortBy(*keys).option("path", path).saveAsTable(table)
+    finally:
+        spark.conf.set(_CLEAN, before)
+    out = spark.table(table)
+    out._cut_path = path
+    return out
+
+
+def release(*tables: DataFrame | None) -> None:
+    """Delete tables made by `cut` that no later plan reads."""
+    for t in tables:
+        path = getattr(t, "_cut_path", None)
+        if path:
+            jvm = t.sparkSession._jvm
+            place = jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(t.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(place, True)
 
 
 def running_sum(df: DataFrame, groups: list[str], order: list[str], value: str, out: str) -> DataFrame:
