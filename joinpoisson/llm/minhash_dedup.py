@@ -7,10 +7,11 @@ probability Jaccard similarity of their weights. All texts of a batch run throug
 
 Texts that agree in a band of registers are candidates. First each is paired with the representative of its bucket, the
 text that shares most buckets with others (the hub of a group of near copies), and the pairs are verified on the exact
-Jaccard similarity of the two shingle sets. Then, in each bucket that still holds several classes, all texts outside its
-largest class are compared with all texts of the bucket, in blocks of bounded size, by their signatures; pairs of
-different classes whose registers agree in at least DOUBTFUL of all are verified too. So every pair that shares a band
-and may be a link is decided, in two steps, whatever the size of its bucket. Equal texts meet before.
+Jaccard similarity of the two shingle sets. Then come the buckets that still hold several classes. A text of which less
+than the asked share of shingles stands in texts of other classes has no link to them and is settled. Of the others all
+outside the largest class of a bucket are compared with all texts of the bucket, in blocks of bounded size, by their
+signatures; pairs of different classes whose registers agree in at least DOUBTFUL of all are verified too. So every pair
+that shares a band and may be a link is decided, whatever the size of its bucket. Equal texts meet before.
 
 Cases: a null text counts as empty; a text of fewer than five words is one shingle; empty texts are equal and form
 one class; repeated rows belong to one class; ties go to the smaller doc_id, nulls last; an empty table gives no rows.
@@ -176,18 +177,34 @@ def near_classes(docs: DataFrame, similar: float = SIMILAR, registers: int = REG
     pairs = cut(open_.join(heads, ["band", "key"]).where((F.col("tid") != F.col("b")) & alike).select(F.greatest("tid", "b").alias("a"), F.least("tid", "b").alias("b")).distinct(), "pairs")
     links = cut(verified(pairs, sets, similar).select("a", "b"), "links")
     roots = components(links)
-    rest = cut(doubtful(open_, once, roots, registers, rows, similar).distinct().join(pairs, ["a", "b"], "left_anti"), "rest")
+    rest = cut(doubtful(open_, once, sets, roots, registers, rows, similar).distinct().join(pairs, ["a", "b"], "left_anti"), "rest")
     more = cut(verified(rest, sets, similar).select("a", "b"), "links")
     out = roots if more.isEmpty() else components(links.unionByName(more))
     release(open_, once, sets, pairs, rest)
     return out
 
 
-def doubtful(members: DataFrame, once: DataFrame, roots: DataFrame, registers: int, rows: int, similar: float) -> DataFrame:
+def _in_other_classes(rooted: DataFrame, sets: DataFrame, similar: float) -> DataFrame:
+    """tid of the texts of rooted (band, key, tid, root) that may have a link to another class: in their buckets there is
+    one, and enough of their shingles stand in texts of other classes. At a similarity s two sets share s of either."""
+    several = rooted.groupBy("band", "key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo != hi").select("band", "key")
+    asked = rooted.join(several, ["band", "key"], "left_semi").select("tid", "root").distinct()
+    held = cut(asked.join(sets, "tid"), "asked")
+    each = held.select("tid", "root", F.explode("set").alias("s"))
+    met = each.groupBy("s").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo != hi").select("s")
+    found = each.select("tid", "s").join(met, "s", "left_semi").groupBy("tid").agg(F.count("*").alias("met"))
+    out = held.select("tid", F.size("set").alias("n")).join(found, "tid").where(F.col("met") >= F.col("n") * similar).select("tid")
+    out = cut(out, "alive")
+    release(held)
+    return out
+
+
+def doubtful(members: DataFrame, once: DataFrame, sets: DataFrame, roots: DataFrame, registers: int, rows: int, similar: float) -> DataFrame:
     """The pairs of texts in one bucket but different classes whose signatures do not rule a link out; each comes from the
-    first bucket that it shares. members: band, key, tid; once: tid, sig, n; roots: node, root."""
+    first bucket that it shares. members: band, key, tid; once: tid, sig, n; sets: tid, set; roots: node, root."""
     rooted = members.select("band", "key", "tid").join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid"))
     rooted = cut(rooted, "rooted")
+    rooted = rooted.join(_in_other_classes(rooted, sets, similar), "tid", "left_semi")
     sizes = rooted.groupBy("band", "key", "root").agg(F.count("*").alias("c"))
     buckets = sizes.groupBy("band", "key").agg(F.count("*").alias("classes"), F.sum("c").alias("total"), F.max(F.struct("c", "root")).alias("big")).where("classes > 1")
     buckets = buckets.select("band", "key", F.col("big.root").alias("big"), F.ceil(F.col("total") / RIGHT_BLOCK).cast("int").alias("rights"), F.ceil((F.col("total") - F.col("big.c")) / LEFT_BLOCK).cast("int").alias("lefts"))

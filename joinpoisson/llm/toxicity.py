@@ -29,13 +29,13 @@ from pyspark.sql import functions as F
 
 from joinpoisson.llm.common import col, cut, hash_sample
 
-PER_CLASS, MAX_FEATURES, REMEMBERED = 8000, 20_000, 100_000
+PER_CLASS, REMEMBERED = 8000, 100_000
 FOLDS, HELD_OUT = 5, 0
 #: Characters and the letters that they commonly replace.
 LEET = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "€": "e", "£": "l"}
 PREFIXES = (4, 5, 6, 7, 8)
 EVIDENCE = ("marked", "top", "second", "total", "words")
-EDGE = ".,;:?\"'()[]{}<>«»¿¡…*_~`-"
+EDGE = ".,;:?\"'()[]{}<>«»¿¡…*_~`-%#&=^/\\"
 COST_SWAP, COST_KEEP_ODD, COST_FOLD = 0.7, 6.0, 0.5
 _ODD = re.compile(r"[0134579@$!|+€£8(]")
 _RUN = re.compile(r"(.)\1\1")
@@ -193,20 +193,44 @@ def training_texts(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLAS
     return cut(docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("toxic", F.coalesce("text", F.lit("")).alias("text")).groupBy("text").agg(F.max("toxic").alias("toxic")).repartition("text"), "toxic-sample")
 
 
+def trigrams_of(words: dict[str, int]) -> tuple[np.ndarray, np.ndarray]:
+    """The trigrams of words between ^^ and $, each as one number of three code points, and how often they stand in all words."""
+    if not words:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    points = np.frombuffer("".join(f"^^{w}$" for w in words).encode("utf-32-le"), np.uint32).astype(np.int64)
+    sizes = np.fromiter((len(w) + 3 for w in words), np.int64, len(words))
+    last = np.cumsum(sizes)
+    inside = np.ones(len(points), bool)
+    inside[last - 1] = inside[last - 2] = False  # no trigram goes on into the next word
+    at = np.flatnonzero(inside)
+    grams, which = np.unique(points[at] << 42 | points[at + 1] << 21 | points[at + 2], return_inverse=True)
+    counts = np.zeros(len(grams), np.int64)
+    np.add.at(counts, which, np.repeat(np.fromiter(words.values(), np.int64, len(words)), sizes)[at])
+    return grams, counts
+
+
 def _count_trigrams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     total: Counter = Counter()  # letters are few, so their triples are
-    for b in batches:
-        words: Counter = Counter()
-        text = b.column(0)
-        for i in range(b.num_rows):
-            words.update(set(text[i].as_py().lower().split()))
+
+    def add(words: Counter) -> None:
+        plain: Counter = Counter()
         for w, n in words.items():
             w = w.strip(EDGE + "!")
             if w.isalpha():
-                p = "^^" + w + "$"
-                for i in range(len(p) - 2):
-                    total[p[i : i + 3]] += n
-    yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.string()), pa.array(list(total.values()), pa.int64())], names=["g", "n"])
+                plain[w] += n
+        for g, n in zip(*(x.tolist() for x in trigrams_of(plain)), strict=True):
+            total[g] += n
+        words.clear()
+
+    words: Counter = Counter()
+    for b in batches:
+        for text in b.column(0):
+            words.update(set(text.as_py().lower().split()))
+            if len(words) >= REMEMBERED:
+                add(words)
+    add(words)
+    names = ["".join(chr(g >> shift & 0x1FFFFF) for shift in (42, 21, 0)) for g in total]
+    yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(list(total.values()), pa.int64())], names=["g", "n"])
 
 
 def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> ToxicityModel:
@@ -230,7 +254,7 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Tox
 
     counts = sample.mapInArrow(count, "f string, good long, bad long").groupBy("f").agg(F.sum("good").alias("good"), F.sum("bad").alias("bad"))
     odds = F.log((F.col("bad") + 0.5) / (bad + 1.0)) - F.log((F.col("good") + 0.5) / (good + 1.0))
-    top = counts.where(F.col("bad") >= least).withColumn("w", odds).where("w > 1.5").orderBy(F.desc("w"), "f").limit(MAX_FEATURES).collect()
+    top = counts.where(F.col("bad") >= least).withColumn("w", odds).where("w > 1.5").collect()  # no more than the words of the bounded sample
     model = ToxicityModel(chars, {r["f"]: float(r["w"]) for r in top})
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
