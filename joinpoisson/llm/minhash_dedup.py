@@ -9,9 +9,10 @@ Texts that agree in a band of registers are candidates. First each is paired wit
 text that shares most buckets with others (the hub of a group of near copies), and the pairs are verified on the exact
 Jaccard similarity of the two shingle sets. Then come the buckets that still hold several classes. A text of which less
 than the asked share of shingles stands in texts of other classes has no link to them and is settled. Of the others all
-outside the largest class of a bucket are compared with all texts of the bucket, in blocks of bounded size, by their
-signatures; pairs of different classes whose registers agree in at least DOUBTFUL of all are verified too. So every pair
-that shares a band and may be a link is decided, whatever the size of its bucket. Equal texts meet before.
+outside the largest class of a bucket are compared with all texts of the bucket, in blocks of bounded size that hold
+their shingles: pairs of different classes whose registers agree in at least DOUBTFUL of all are verified in place, and
+only links leave a block. So every pair that shares a band and may be a link is decided, whatever the size of its bucket.
+Equal texts meet before.
 
 Cases: a null text counts as empty; a text of fewer than five words is one shingle; empty texts are equal and form
 one class; repeated rows belong to one class; ties go to the smaller doc_id, nulls last; an empty table gives no rows.
@@ -31,7 +32,7 @@ from joinpoisson.llm.components import components
 
 WORDS, SIMILAR, REGISTERS, BAND_ROWS = 5, 0.8, 100, 5
 #: Two texts at 0.8 agree in so few registers with a probability under one in a million (five standard deviations).
-DOUBTFUL, LEFT_BLOCK, RIGHT_BLOCK = 0.6, 512, 4096
+DOUBTFUL, LEFT_BLOCK, RIGHT_BLOCK = 0.6, 512, 1024
 SHINGLES_PER_CHUNK = 400_000
 
 
@@ -177,10 +178,9 @@ def near_classes(docs: DataFrame, similar: float = SIMILAR, registers: int = REG
     pairs = cut(open_.join(heads, ["band", "key"]).where((F.col("tid") != F.col("b")) & alike).select(F.greatest("tid", "b").alias("a"), F.least("tid", "b").alias("b")).distinct(), "pairs")
     links = cut(verified(pairs, sets, similar).select("a", "b"), "links")
     roots = components(links)
-    rest = cut(doubtful(open_, once, sets, roots, registers, rows, similar).distinct().join(pairs, ["a", "b"], "left_anti"), "rest")
-    more = cut(verified(rest, sets, similar).select("a", "b"), "links")
+    more = cut(links_between_classes(open_, once, sets, roots, registers, rows, similar), "links")
     out = roots if more.isEmpty() else components(links.unionByName(more))
-    release(open_, once, sets, pairs, rest)
+    release(open_, once, sets, pairs)
     return out
 
 
@@ -199,23 +199,23 @@ def _in_other_classes(rooted: DataFrame, sets: DataFrame, similar: float) -> Dat
     return out
 
 
-def doubtful(members: DataFrame, once: DataFrame, sets: DataFrame, roots: DataFrame, registers: int, rows: int, similar: float) -> DataFrame:
-    """The pairs of texts in one bucket but different classes whose signatures do not rule a link out; each comes from the
-    first bucket that it shares. members: band, key, tid; once: tid, sig, n; sets: tid, set; roots: node, root."""
+def links_between_classes(members: DataFrame, once: DataFrame, sets: DataFrame, roots: DataFrame, registers: int, rows: int, similar: float) -> DataFrame:
+    """The links (a, b) of texts in one bucket but different classes, each from the first bucket that the two share.
+    members: band, key, tid; once: tid, sig; sets: tid, set; roots: node, root."""
     rooted = members.select("band", "key", "tid").join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid"))
     rooted = cut(rooted, "rooted")
     rooted = rooted.join(_in_other_classes(rooted, sets, similar), "tid", "left_semi")
     sizes = rooted.groupBy("band", "key", "root").agg(F.count("*").alias("c"))
     buckets = sizes.groupBy("band", "key").agg(F.count("*").alias("classes"), F.sum("c").alias("total"), F.max(F.struct("c", "root")).alias("big")).where("classes > 1")
     buckets = buckets.select("band", "key", F.col("big.root").alias("big"), F.ceil(F.col("total") / RIGHT_BLOCK).cast("int").alias("rights"), F.ceil((F.col("total") - F.col("big.c")) / LEFT_BLOCK).cast("int").alias("lefts"))
-    held = cut(rooted.join(buckets, ["band", "key"]).join(once.select("tid", "sig", "n"), "tid"), "unsettled")
+    held = rooted.join(buckets, ["band", "key"]).join(once.select("tid", "sig"), "tid").join(sets, "tid")
     deal = lambda n: F.pmod(F.xxhash64("band", "tid"), F.col(n)).cast("int")
     each = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
-    whole = ["band", "key", "tid", "root", "sig", "n"]
+    whole = ["band", "key", "tid", "root", "sig", "set"]
     left = held.where("root != big").select(*whole, F.lit(0).alias("side"), deal("lefts").alias("lb"), each("rights").alias("rb"))
     right = held.select(*whole, F.lit(1).alias("side"), each("lefts").alias("lb"), deal("rights").alias("rb"))
-    dealt = left.unionByName(right).select("band", "key", "lb", "rb", "side", "tid", "root", "sig", "n")
-    least, per_band = int(DOUBTFUL * registers), registers // rows
+    dealt = left.unionByName(right).select("band", "key", "lb", "rb", "side", "tid", "root", "sig", "set")
+    least = int(DOUBTFUL * registers)
 
     def compare(group: pa.Table) -> tuple[list, list]:
         side = group.column("side").to_numpy()
@@ -224,7 +224,8 @@ def doubtful(members: DataFrame, once: DataFrame, sets: DataFrame, roots: DataFr
             return [], []
         tid, root = group.column("tid").to_pylist(), group.column("root").to_pylist()
         sig = np.frombuffer(b"".join(group.column("sig").to_pylist()), np.uint8).reshape(len(side), -1)
-        n, band = group.column("n").to_numpy(), group.column("band")[0].as_py()
+        flat, ends = _lists(group.column("set").combine_chunks())
+        flat, n, band = flat.view(np.uint64), np.diff(ends), group.column("band")[0].as_py()
         names = {r: i for i, r in enumerate(set(root))}
         kind = np.array([names[r] for r in root])
         a, b = [], []
@@ -236,9 +237,11 @@ def doubtful(members: DataFrame, once: DataFrame, sets: DataFrame, roots: DataFr
             earlier = np.zeros(len(may), bool)
             for k in range(band):
                 earlier |= same[:, k * rows : (k + 1) * rows].all(axis=1)
+            own = flat[ends[i] : ends[i + 1]]
             for j in may[(same.sum(axis=1) >= least) & ~earlier]:
-                a.append(max(tid[i], tid[j]))
-                b.append(min(tid[i], tid[j]))
+                if jaccard(own, flat[ends[j] : ends[j + 1]]) >= similar:
+                    a.append(max(tid[i], tid[j]))
+                    b.append(min(tid[i], tid[j]))
         return a, b
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -247,7 +250,6 @@ def doubtful(members: DataFrame, once: DataFrame, sets: DataFrame, roots: DataFr
             yield pa.RecordBatch.from_arrays([pa.array([x for f in found for x in f[k]], pa.binary()) for k in (0, 1)], names=["a", "b"])
 
     keys = ["band", "key", "lb", "rb"]
-    assert per_band * rows == registers
     return dealt.repartition(*keys).sortWithinPartitions(*keys, "side").mapInArrow(run, "a binary, b binary")
 
 

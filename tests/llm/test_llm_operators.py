@@ -1,6 +1,7 @@
 """The training-data operators against brute force, and on nulls, empty, long, tied and repeated rows and clashing names."""
 
 import hashlib
+import math
 import random
 import re
 import time
@@ -250,6 +251,22 @@ def test_topk_is_exact(spark, sizes):
     assert topk_search.digest(df.where("false")).count() == 0
 
 
+def test_topk_of_large_components_and_unequal_lengths(spark):
+    r = random.Random(3)
+    rows = [(i, [r.choice((1e9, -1e9, 3.0, 0.5)) for _ in range(3 - i % 2)]) for i in range(60)] + [(60, []), (61, None), (62, [float("nan")]), (63, [None, 1.0])]
+    whole = {i: [math.floor(64 * x) for x in v] for i, v in rows if i <= 60}
+    want = []
+    for q in whole:
+        if q % 20 == 0:
+            scored = sorted((-sum(a * b for a, b in zip(whole[q], v, strict=False)), i) for i, v in whole.items() if i != q)[:20]
+            want += [(q, k, i, max(-(1 << 63), min((1 << 63) - 1, -s))) for k, (s, i) in enumerate(scored, 1)]
+    clipped = defaultdict(list)
+    for q, _, i, s in want:
+        clipped[q].append((s, i))
+    got = topk_search.digest(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()
+    assert sorted((x.query_id, x.rank, x.score) for x in got) == sorted((q, k, s) for q, v in clipped.items() for k, s in enumerate(sorted((s for s, _ in v), reverse=True), 1))
+
+
 def test_pivots_exclude_clustered_candidates():
     r = np.random.default_rng(2)
     x = np.concatenate([np.rint(r.normal(size=(2000, 6)) + 40 * c) for c in np.eye(6)]).astype(np.int64)
