@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -216,7 +218,7 @@ def _tail_materialized(s, d) -> DataFrame:
     work = WORKLOADS["w18"]
     index = _built(s, d, work, PRODUCT, 5)
     below, _ = tail_split(index)
-    head = ScoreIndex(index.tree, index.algebra, index.cap, index.intervals, below, index.names).sample(SEED)
+    head = replace(index, buckets=below).sample(SEED)
     names = [r.name for r in work.rels]
     joined = baselines.natural_join(specs(s, d, work))
     weight = PRODUCT.weight([F.col(f"w_{n}") for n in sorted(names)])
@@ -236,13 +238,13 @@ def _tail_sql() -> str:
 
 
 def _tail_proxy(s, d) -> DataFrame:
-    """The tail's size is only bounded (by the product of the relations' sizes); ranks beyond its results are dropped."""
+    """The tail counts as four times the join size; ranks beyond its results are dropped."""
     work = WORKLOADS["w18"]
     rows = specs(s, d, work)
     index = _built(s, d, work, PRODUCT, 5)
     bound = max(1, min(join_size(rows) * 4, 1 << 40))
     n = F.when(F.col("score") == index.cap, F.lit(bound).cast("long")).otherwise(F.col("n"))
-    return _shown(ScoreIndex(index.tree, index.algebra, index.cap, index.intervals, index.buckets.withColumn("n", n), index.names).sample(SEED), work, "score")
+    return _shown(replace(index, buckets=index.buckets.withColumn("n", n)).sample(SEED), work, "score")
 
 
 def bag_specs(rows: list[RelationSpec], bags: list[list[str]], algebra: Algebra) -> list[RelationSpec]:

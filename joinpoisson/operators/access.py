@@ -15,17 +15,15 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from joinpoisson.functions.arith import div, step_width
+from joinpoisson.operators.index import stepped
 from joinpoisson.plans.jointree import Node
 from joinpoisson.plans.relations import RID, WEIGHT
 
 
 def _stepped(node: Node, intervals: DataFrame) -> DataFrame:
-    """The intervals under each step that they meet. Needs the totals of their key and score."""
-    groups = [*node.key, "score"]
-    totals = intervals.groupBy(*groups).agg(F.max("hi").alias("_total"), F.count("*").alias("_places")).select(*groups, step_width(F.col("_total"), F.col("_places")).alias("_width"))
-    met = intervals.join(totals, groups)
-    first, last = div(F.col("lo"), F.col("_width")), div(F.col("hi") - 1, F.col("_width"))
-    return met.withColumn("_step", F.explode(F.sequence(first, last))).drop("_width")
+    """The intervals under each step that they meet, for an index that keeps no steps."""
+    totals = intervals.groupBy(*node.key, "score").agg(F.max("hi").alias("_total"), F.count("*").alias("_places"))
+    return stepped(node, intervals, totals.withColumn("width", step_width(F.col("_total"), F.col("_places"))))
 
 
 def descend(index, requests: DataFrame, strategy: str = "steps") -> DataFrame:
@@ -36,7 +34,8 @@ def descend(index, requests: DataFrame, strategy: str = "steps") -> DataFrame:
     rows = rows.withColumns({f"_s_{tree.name}": F.col("score"), f"_r_{tree.name}": F.col("rank")})
     have: list[str] = []
     for node in tree.walk():
-        rows, have = _locate(node, index.intervals[node.name], rows, have, strategy)
+        kept = index.steps.get(node.name) if strategy == "steps" else None
+        rows, have = _locate(node, index.intervals[node.name] if kept is None else kept, rows, have, strategy)
     ids = [c for n in tree.names for c in (f"rid_{n}", f"w_{n}")]
     return rows.select(*own, *have, *ids)
 
@@ -44,12 +43,12 @@ def descend(index, requests: DataFrame, strategy: str = "steps") -> DataFrame:
 def _locate(node: Node, intervals: DataFrame, rows: DataFrame, have: list[str], strategy: str) -> tuple[DataFrame, list[str]]:
     name, fresh = node.name, [a for a in node.attrs if a not in have]
     inner = [f"score_{c.name}" for c in node.children] + [f"n_{c.name}" for c in node.children] + [f"width_{c.name}" for c in node.children]
+    if strategy == "steps" and "_step" not in intervals.columns:
+        intervals = _stepped(node, intervals)
     table = intervals.select(*[F.col(k).alias(f"_k_{k}") for k in node.key], F.col("score").alias("_is"), "lo", "hi", F.col(RID).alias(f"rid_{name}"), F.col(WEIGHT).alias(f"w_{name}"), *fresh, *inner, *(["_step"] if "_step" in intervals.columns else []))
     score, rank = F.col(f"_s_{name}"), F.col(f"_r_{name}")
     same = [F.col(k) == F.col(f"_k_{k}") for k in node.key] + [score == F.col("_is")]
     if strategy == "steps":
-        stepped = _stepped(node, intervals)
-        table = stepped.select(*[F.col(k).alias(f"_k_{k}") for k in node.key], F.col("score").alias("_is"), "lo", "hi", F.col(RID).alias(f"rid_{name}"), F.col(WEIGHT).alias(f"w_{name}"), *fresh, *inner, "_step")
         asked = rows.withColumn("_at", div(rank - 1, F.col(f"_d_{name}")))
         on = [*same, F.col("_at") == F.col("_step"), rank > F.col("lo"), rank <= F.col("hi")]
         met = asked.join(table, on).drop("_at", "_step")

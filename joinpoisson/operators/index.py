@@ -22,10 +22,10 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from joinpoisson.functions.algebra import PRODUCT, Algebra, constant
-from joinpoisson.functions.arith import step_width
+from joinpoisson.functions.arith import div, step_width
 from joinpoisson.plans.jointree import Node, build_join_tree
 from joinpoisson.plans.relations import RID, WEIGHT, RelationSpec, schemas
-from joinpoisson.plans.storage import cut, running_sum, shared_dir
+from joinpoisson.plans.storage import cut, cut_bucketed, running_sum, shared_dir
 
 #: Rows of one key and score above which running sums go over range partitions instead of one window.
 LARGE_GROUP = 1_000_000
@@ -41,12 +41,14 @@ def tuples_of(spec: RelationSpec, algebra: Algebra, cap: int) -> DataFrame:
     return rows.withColumn("score", algebra.tuple_score(F.col(WEIGHT), cap))
 
 
-def places_of(node: Node, specs: dict[str, RelationSpec], algebra: Algebra, cap: int) -> DataFrame:
-    """attrs, rid, w, score (of the subtree), n, and for each child its score, count and step width."""
+def places_of(node: Node, specs: dict[str, RelationSpec], algebra: Algebra, cap: int, messages: dict[str, DataFrame] | None = None) -> DataFrame:
+    """attrs, rid, w, score (of the subtree), n, and for each child its score, count and step width. messages: those of the
+    children, if they are there already."""
     rows = tuples_of(specs[node.name], algebra, cap)
     parts, count = [F.col("score")], F.lit(1).cast("long")
     for c in node.children:
-        message = message_of(c, specs, algebra, cap).select(*c.key, F.col("score").alias(f"score_{c.name}"), F.col("n").alias(f"n_{c.name}"), F.col("width").alias(f"width_{c.name}"))
+        made = messages[c.name] if messages else message_of(c, specs, algebra, cap)
+        message = made.select(*c.key, F.col("score").alias(f"score_{c.name}"), F.col("n").alias(f"n_{c.name}"), F.col("width").alias(f"width_{c.name}"))
         rows = rows.join(message, list(c.key)) if c.key else rows.crossJoin(F.broadcast(message))  # no key: a row per score
         parts.append(F.col(f"score_{c.name}"))
         count = count * F.col(f"n_{c.name}")
@@ -55,8 +57,12 @@ def places_of(node: Node, specs: dict[str, RelationSpec], algebra: Algebra, cap:
 
 def message_of(node: Node, specs: dict[str, RelationSpec], algebra: Algebra, cap: int) -> DataFrame:
     """key, score, n of the node's subtree, and the width of the steps that its ranks are looked up by."""
-    sums = places_of(node, specs, algebra, cap).groupBy(*node.key, "score").agg(F.sum("n").alias("n"), F.count("*").alias("places"))
-    return sums.withColumn("width", step_width(F.col("n"), F.col("places"))).drop("places")
+    return _summed(node, places_of(node, specs, algebra, cap)).drop("places")
+
+
+def _summed(node: Node, places: DataFrame) -> DataFrame:
+    sums = places.groupBy(*node.key, "score").agg(F.sum("n").alias("n"), F.count("*").alias("places"))
+    return sums.withColumn("width", step_width(F.col("n"), F.col("places")))
 
 
 def join_size(specs: list[RelationSpec], root: str | None = None) -> int:
@@ -95,10 +101,12 @@ def reduce_relations(specs: list[RelationSpec], root: str | None = None) -> list
     return [RelationSpec(s.name, now[s.name], s.attrs) for s in specs]
 
 
-def intervals_of(node: Node, places: DataFrame, large: int = LARGE_GROUP) -> DataFrame:
-    """The places with lo, hi: the ranks of their key and score that lie in them, from 1."""
+def intervals_of(node: Node, places: DataFrame, large: int = LARGE_GROUP, largest: int | None = None) -> DataFrame:
+    """The places with lo, hi: the ranks of their key and score that lie in them, from 1. largest: the most places of a key
+    and score, if known."""
     groups, order = [*node.key, "score"], [RID, *[f"score_{c.name}" for c in node.children]]
-    largest = places.groupBy(*groups).count().agg(F.max("count")).first()[0] or 0
+    if largest is None:
+        largest = places.groupBy(*groups).count().agg(F.max("count")).first()[0] or 0
     if largest > large:
         run = running_sum(places, groups, order, "n", "hi")
     else:
@@ -106,6 +114,14 @@ def intervals_of(node: Node, places: DataFrame, large: int = LARGE_GROUP) -> Dat
     return run.withColumn("lo", F.col("hi") - F.col("n"))
 
 
+def stepped(node: Node, intervals: DataFrame, totals: DataFrame) -> DataFrame:
+    """The intervals under each step (_step) that they meet; _first: under their first one. totals: key, score, width."""
+    groups = [*node.key, "score"]
+    met = intervals.join(totals.select(*groups, F.col("width").alias("_width")), groups)
+    first, last = div(F.col("lo"), F.col("_width")), div(F.col("hi") - 1, F.col("_width"))
+    return met.withColumn("_step", F.explode(F.sequence(first, last))).withColumn("_first", F.col("_step") == first).drop("_width")
+
+
 def buckets_of(root: DataFrame, algebra: Algebra, relations: int) -> DataFrame:
     """score, n, width, ceiling from the root's intervals."""
     sizes = root.groupBy("score").agg(F.sum("n").alias("n"), F.count("*").alias("places"))
@@ -122,22 +138,37 @@ class ScoreIndex:
     intervals: dict[str, DataFrame]
     buckets: DataFrame
     names: list[str] = field(default_factory=list)
+    #: The intervals under their steps, as look-ups want them. Stored ones lie in hash buckets of (key, score, step), so that
+    #: a draw moves its candidates only.
+    steps: dict[str, DataFrame] = field(default_factory=dict)
 
     @classmethod
     def build(cls, specs: list[RelationSpec], algebra: Algebra = PRODUCT, cap: int | str = "exact", root: str | None = None, store: bool = True, large: int = LARGE_GROUP) -> ScoreIndex:
-        """root: the relation at the top, by default the first by name. store: write the tables once for many draws."""
+        """root: the relation at the top, by default the first by name. store: write the tables once for many draws.
+        Messages are made once each, from the leaves up, and written either way: they are no longer than the relations
+        times the scores that a key has."""
         tree = build_join_tree(schemas(specs), root)
         level = cap if isinstance(cap, int) else choose_cap(specs, algebra, cap)
         by_name = {s.name: s for s in specs}
-        keep = cut if store else lambda df, name: df
-        tables = {n.name: keep(intervals_of(n, places_of(n, by_name, algebra, level), large), f"intervals-{n.name}") for n in tree.walk()}
-        buckets = keep(buckets_of(tables[tree.name], algebra, len(specs)), "buckets")
-        return cls(tree, algebra, level, tables, buckets, tree.names)
+        messages, tables, steps = {}, {}, {}
+        for n in reversed(tree.walk()):
+            places = places_of(n, by_name, algebra, level, messages)
+            messages[n.name] = cut(_summed(n, places), f"message-{n.name}")
+            largest = messages[n.name].agg(F.max("places")).first()[0] or 0
+            tables[n.name] = intervals_of(n, places, large, largest)
+            steps[n.name] = stepped(n, tables[n.name], messages[n.name])
+            if store:
+                keys = [*n.key, "score", "_step"]
+                listed = messages[n.name].schema["score"].dataType.typeName() == "array"  # no hash buckets of lists
+                steps[n.name] = cut(steps[n.name], f"steps-{n.name}") if listed else cut_bucketed(steps[n.name], f"steps-{n.name}", keys)
+                tables[n.name] = steps[n.name].where("_first").drop("_step", "_first")
+        buckets = messages[tree.name].select("score", "n", "width", algebra.ceiling(F.col("score"), len(specs)).alias("ceiling"))
+        return cls(tree, algebra, level, tables, cut(buckets, "buckets") if store else buckets, tree.names, steps)
 
     def save(self, path: str) -> None:
-        """Write the index; interval tables are partitioned by score and sorted by key."""
+        """Write the index; the tables are sorted by key, score and step within their files."""
         for n in self.tree.walk():
-            self.intervals[n.name].sortWithinPartitions(*n.key, "score", "lo").write.mode("overwrite").parquet(f"{path}/intervals/{n.name}")
+            self.steps[n.name].sortWithinPartitions(*n.key, "score", "_step", "lo").write.mode("overwrite").parquet(f"{path}/steps/{n.name}")
         self.buckets.write.mode("overwrite").parquet(f"{path}/buckets")
         meta = json.dumps({"algebra": self.algebra.name, "p": self.algebra.p, "cap": self.cap, "tree": _plain(self.tree)})
         self.buckets.sparkSession.createDataFrame([(meta,)], "meta string").write.mode("overwrite").parquet(f"{path}/meta")
@@ -146,8 +177,9 @@ class ScoreIndex:
     def load(cls, spark: SparkSession, path: str) -> ScoreIndex:
         meta = json.loads(spark.read.parquet(f"{path}/meta").first()[0])
         tree = _node(meta["tree"])
-        tables = {n.name: spark.read.parquet(f"{path}/intervals/{n.name}") for n in tree.walk()}
-        return cls(tree, Algebra(meta["algebra"], meta["p"]), meta["cap"], tables, spark.read.parquet(f"{path}/buckets"), tree.names)
+        steps = {n.name: spark.read.parquet(f"{path}/steps/{n.name}") for n in tree.walk()}
+        tables = {name: t.where("_first").drop("_step", "_first") for name, t in steps.items()}
+        return cls(tree, Algebra(meta["algebra"], meta["p"]), meta["cap"], tables, spark.read.parquet(f"{path}/buckets"), tree.names, steps)
 
     def size(self) -> int:
         return self.buckets.agg(F.sum("n")).first()[0] or 0
@@ -192,4 +224,4 @@ def _node(x: list) -> Node:
     return Node(x[0], tuple(x[1]), tuple(x[2]), [_node(c) for c in x[3]])
 
 
-__all__ = ["LARGE_GROUP", "ScoreIndex", "choose_cap", "intervals_of", "join_size", "message_of", "places_of", "reduce_relations", "shared_dir", "tuples_of"]
+__all__ = ["LARGE_GROUP", "ScoreIndex", "choose_cap", "intervals_of", "join_size", "message_of", "places_of", "reduce_relations", "shared_dir", "stepped", "tuples_of"]

@@ -270,3 +270,26 @@ def test_estimates_cover_the_truth(spark, small):
         assert abs(got.estimate - want) < 4.5 * math.sqrt(got.variance)
     mean = ht_avg(sample, F.col("w_lineitem") * 50).first()
     assert abs(mean.estimate - truth.q / truth.n) < 4.5 * math.sqrt(mean.variance)
+
+
+def test_a_draw_on_a_stored_index_moves_its_candidates_only(spark, small):
+    """Between the stored tables of the index and the look-ups of a draw there is neither an exchange nor an aggregation."""
+    from joinpoisson.operators.index import ScoreIndex
+    from joinpoisson.sources.workloads import specs as workload_specs
+
+    index = ScoreIndex.build(workload_specs(spark, small, "w01"), root="lineitem")
+    plan = index.sample(seed=1)._jdf.queryExecution().executedPlan().toString()
+    lines = plan.splitlines()
+    for k, line in enumerate(lines):
+        if "steps_" in line and "Scan parquet" in line:
+            depth = len(line) - len(line.lstrip(" :+-*()0123456789"))
+            above = []
+            for other in reversed(lines[:k]):
+                d = len(other) - len(other.lstrip(" :+-*()0123456789"))
+                if d < depth:
+                    depth = d
+                    above.append(other)
+                    if "Join" in other:
+                        break
+            assert not any("Exchange" in x or "Aggregate" in x for x in above), "\n".join(above)
+    assert any("steps_" in x and "Scan parquet" in x for x in lines)
