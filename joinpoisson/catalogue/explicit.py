@@ -17,7 +17,7 @@ from joinpoisson.operators.index import message_of
 from joinpoisson.operators.metrics import join_size
 from joinpoisson.plans.jointree import build_join_tree
 from joinpoisson.plans.storage import shared_dir
-from joinpoisson.sources.workloads import WEIGHTS, WORKLOADS, join_sql, specs
+from joinpoisson.sources.workloads import WEIGHTS, WORKLOADS, Workload, join_sql, relation_sql, specs
 from joinpoisson.streaming.runner import in_batches, insertion_log, run_insertions, write_slices
 
 SEED, CAP = 7, 40
@@ -150,54 +150,74 @@ def _register() -> None:
         index, _ = filled(s, d, w13, root="customer")
         return index.messages(next(n for n in index.tree.walk() if n.name == "orders"), 9).select("ck", "score", "raw", F.col("n").alias("rounded"))
 
-    up = lambda x: f"CAST(CASE WHEN {x} <= 1 THEN {x} ELSE pow(2, ceil(log2({x}))) END AS BIGINT)"
-    from joinpoisson.sources.workloads import relation_sql
-
-    leaf = f"(SELECT ok, {score_sql('w_lineitem', deep)} AS s, count(*) AS n FROM ({relation_sql(w13.rels[2])}) WHERE w_lineitem > 0 GROUP BY 1, 2)"
-    add("dynamic_rounded_counters_w13", rounded, f"WITH l AS (SELECT ok, s, {up('n')} AS n FROM {leaf}), o AS (SELECT ck, ok, {score_sql('w_orders', deep)} AS s FROM ({relation_sql(w13.rels[1])}) WHERE w_orders > 0), x AS (SELECT ck, CAST(least({deep}, o.s + l.s) AS INTEGER) AS score, CAST(sum(n) AS BIGINT) AS raw FROM o JOIN l ON o.ok = l.ok GROUP BY 1, 2) SELECT ck, score, raw, {up('raw')} AS rounded FROM x")
-    add("dynamic_sample_w13", lambda s, d: ids(filled(s, d, w13)[0].sample(9, SEED), w13))
-    add("dynamic_grid_sample_w05", lambda s, d: ids(filled(s, d, w05, algebra=GRID)[0].sample(9, SEED), w05))
+    at_customer = Workload(w13.name, w13.rels, "customer")
+    counts = f"WITH {sql.counted(at_customer, deep)}"
+    add("dynamic_rounded_counters_w13", rounded, f"{counts} SELECT ck, score, raw, n AS rounded FROM m_orders")
+    add("dynamic_sample_w13", lambda s, d: ids(filled(s, d, w13, slices=4)[0].sample(9, SEED), w13), f"SELECT {sql.rids(w13)} FROM ({sql.counted_sample(w13, deep, SEED)})")
+    add("dynamic_grid_sample_w05", lambda s, d: ids(filled(s, d, w05, algebra=GRID)[0].sample(9, SEED), w05), f"SELECT {sql.rids(w05)} FROM ({sql.counted_sample(w05, deep, SEED, grid=True)})")
 
     def real_results(s, d):
         return ids(filled(s, d, w05)[0].index(9).enumerate(), w05)
 
     add("dynamic_enumerate_w05", real_results, f"SELECT {sql.rids(w05)} FROM ({join_sql(w05)}) WHERE w_supplier > 0 AND w_nation > 0 AND w_customer > 0")
-    add("measure_dummy_rate_w13", lambda s, d: density(filled(s, d, w13, root="customer")[0].index(9)))
+    add("measure_dummy_rate_w13", lambda s, d: density(filled(s, d, w13, root="customer")[0].index(9)), f"{counts} SELECT CAST((SELECT sum(places_n) FROM p_customer) AS BIGINT) AS ranks, CAST(results AS BIGINT) AS results, CAST((SELECT sum(places_n) FROM p_customer) - results AS BIGINT) AS dummies, CAST(results AS DOUBLE) / (SELECT CAST(sum(places_n) AS DOUBLE) FROM p_customer) AS density FROM (SELECT count(*) AS results FROM r_customer)")
 
     def inflated(s, d):
         index, rows = filled(s, d, w13, root="customer")
         node = next(n for n in index.tree.walk() if n.name == "orders")
         return inflation(message_of(node, {r.name: r for r in rows}, PRODUCT, index.cap), index.messages(node, 9), ["ck"])
 
-    add("measure_inflation_w13", inflated)
-    add("measure_changes_w13", lambda s, d: s.createDataFrame(filled(s, d, w13, root="customer")[0].changes, "batch int, relation string, changed long"))
+    exact = f"SELECT ck, least({deep}, {score_sql('w_orders', deep)} + {score_sql('w_lineitem', deep)}) AS score, count(*) AS n FROM ({relation_sql(w13.rels[1])}) o JOIN ({relation_sql(w13.rels[2])}) l ON o.ok = l.ok WHERE w_orders > 0 AND w_lineitem > 0 GROUP BY 1, 2"
+    add("measure_inflation_w13", inflated, f"{counts} SELECT min(CAST(r.n AS DOUBLE) / e.n) AS least, max(CAST(r.n AS DOUBLE) / e.n) AS largest FROM ({exact}) e JOIN m_orders r ON e.ck = r.ck AND e.score = r.score")
+
+    def changes(s, d):
+        rows = specs(s, d, w13)
+        index = DynamicIndex(s, home(s), attrs(rows), PRODUCT, 1 << 18, "customer")
+        in_batches(insertion_log(rows), 3, attrs(rows), index.insert, F.pmod(F.col("rid"), F.lit(3)))
+        return s.createDataFrame(index.changes, "batch int, relation string, changed long")
+
+    add("measure_changes_w13", changes, _changes_sql(at_customer, deep, 3))
 
-    def maintained(s, d, work, exact, stream):
+    def maintained(s, d, work, stream, batches=2, exact=False):
         rows = specs(s, d, work)
-        sample = MaintainedSample(s, home(s), attrs(rows), PRODUCT, SEED, exact)
-        log = insertion_log(rows)
+        sample = MaintainedSample(s, home(s), attrs(rows), PRODUCT, SEED, exact, 20)
+        log, batch_of = insertion_log(rows), F.pmod(F.col("rid"), F.lit(batches))
         if stream:
-            run_insertions(s, write_slices(log, 2), log.schema, attrs(rows), sample.insert)
+            run_insertions(s, write_slices(log, batches, batch_of), log.schema, attrs(rows), sample.insert)
         else:
-            in_batches(log, 2, attrs(rows), sample.insert)
+            in_batches(log, batches, attrs(rows), sample.insert, batch_of)
         return ids(sample.current(), work)
 
+    by_index = lambda work, batches=2: sql.maintained(work, 20, SEED, f"_rid_ % {batches}", batches)
     for n, work in (("w13", w13), ("w14", w14)):
-        add(f"dynamic_maintained_{n}", lambda s, d, work=work: maintained(s, d, work, True, True), f"WITH {sql.naive(work, PRODUCT, SEED)} SELECT {sql.rids(work)} FROM naive")
-    add("dynamic_maintained_index_w14", lambda s, d: maintained(s, d, w14, False, False))
+        add(f"dynamic_maintained_{n}", lambda s, d, work=work: maintained(s, d, work, True), by_index(work))
+    add("dynamic_maintained_index_w14", lambda s, d: maintained(s, d, w14, False, 3), by_index(w14, 3))
+    add("baseline_maintained_coins_w13", lambda s, d: maintained(s, d, w13, False, exact=True), f"WITH {sql.naive(w13, PRODUCT, SEED)} SELECT {sql.rids(w13)} FROM naive")
 
     def repeated(s, d):
         rows = specs(s, d, w14)
-        sample = MaintainedSample(s, home(s), attrs(rows), PRODUCT, SEED, True)
+        sample = MaintainedSample(s, home(s), attrs(rows), PRODUCT, SEED, cap=20)
         log = insertion_log(rows)
         for batch, part in enumerate((log, log.where("rid % 4 = 0"))):
             sample.insert(batch, {r.name: part.where(F.col("relation") == r.name).select(*r.attrs, "rid", "w") for r in rows})
         return ids(sample.current(), w14)
 
-    add("dynamic_duplicates_ignored_w14", repeated, f"WITH {sql.naive(w14, PRODUCT, SEED)} SELECT {sql.rids(w14)} FROM naive")
+    add("dynamic_duplicates_ignored_w14", repeated, sql.maintained(w14, 20, SEED, "0", 1))
     add("dynamic_static_rebuild_w13", lambda s, d: _rebuilt(s, d, w13, home(s)), f"WITH {sql.scored(w13, PRODUCT, 30)} SELECT CAST(count(*) AS BIGINT) AS results FROM scored")
 
 
+def _changes_sql(work: Workload, cap: int, batches: int) -> str:
+    """batch, relation, changed: the counts that parents see which moved, from the states after each batch."""
+    rows = []
+    for b in range(batches):
+        now, was = (f"(WITH {sql.counted(work, cap, only=f'rid_{{rel}} % {batches} <= {x}')} " for x in (b, b - 1))
+        for node in sql.tree_of(work).walk():
+            keys = [*node.key, "score"]
+            pick = f"SELECT {', '.join(keys)}, n FROM m_{node.name})"
+            rows.append(f"SELECT CAST({b} AS INTEGER) AS batch, '{node.name}' AS relation, CAST(count(*) AS BIGINT) AS changed FROM {now}{pick} a LEFT JOIN {was}{pick} o ON {' AND '.join(f'a.{k} = o.{k}' for k in keys)} WHERE a.n <> coalesce(o.n, 0)")
+    return " UNION ALL ".join(rows)
+
+
 def _rebuilt(s, d, work, path) -> DataFrame:
     rows = specs(s, d, work)
     base = StaticRebuild(s, path, {r.name: r.attrs for r in rows})

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from dataclasses import replace
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -21,6 +19,7 @@ from joinpoisson.plans.relations import RelationSpec, schemas
 from joinpoisson.sources.workloads import NUMBERED, WORKLOADS, Rel, Workload, join_sql, relation_sql, specs
 
 CAP, SEED = 20, 7
+PROXY_CAP = 14  # the bound of w18 at sf0.01 is about 2^30: some 55,000 candidates in its tail
 ALGEBRAS = {"product": PRODUCT, "min": MIN, "max": MAX, "sum": SUM, "constant": constant(0.0625)}
 
 
@@ -106,9 +105,9 @@ def _register() -> None:
 
     def uniform_access(s, d):
         index = _built(s, d, w05, constant(1.0), 0)
-        return index.access(index.buckets.select("score", F.explode(F.expr("sequence(1L, n, 97L)")).alias("rank"))).select(*[f"rid_{r.name}" for r in w05.rels], "rank")
+        return index.access(index.buckets.select("score", F.explode(F.expr("sequence(1L, n)")).alias("rank"))).select(*[f"rid_{r.name}" for r in w05.rels], "rank")
 
-    add("index_ranked_access_uniform_w05", uniform_access, f"WITH {sql.ranked(w05, constant(1.0), 0)} SELECT {sql.rids(w05)}, rank FROM ranked WHERE rank % 97 = 1")
+    add("index_ranked_access_uniform_w05", uniform_access, f"WITH {sql.ranked(w05, constant(1.0), 0)} SELECT {sql.rids(w05)}, rank FROM ranked")
 
     for a, alg in ALGEBRAS.items():
         work = workload("w01", alg)
@@ -118,15 +117,17 @@ def _register() -> None:
         add(f"index_sample_{n}", lambda s, d, work=work: _shown(_built(s, d, work, PRODUCT).sample(SEED), work, "score", "rank"), sql.index_sample(work, PRODUCT, CAP, SEED))
     add("index_sample_min_w04", lambda s, d: _shown(_built(s, d, WORKLOADS["w04"], MIN).sample(SEED), WORKLOADS["w04"], "score", "rank"), sql.index_sample("w04", MIN, CAP, SEED))
     add("index_sample_multi_draw_w01", lambda s, d: _shown(_built(s, d, w01, PRODUCT).sample(SEED, draws=3), w01, "draw", "score", "rank"), sql.index_sample(w01, PRODUCT, CAP, SEED, 3))
-    add("index_sample_gated_w01", lambda s, d: _shown(_built(s, d, w01, PRODUCT).sample(SEED, gate=True), w01, "score"))
+    add("index_sample_gated_w01", lambda s, d: _shown(_built(s, d, w01, PRODUCT).sample(SEED, gate=True), w01, "score", "rank"), sql.index_sample(w01, PRODUCT, CAP, SEED, gate=True))
     add("index_sample_bulk_w01", lambda s, d: _shown(_built(s, d, w01, PRODUCT).sample(SEED, bulk=True), w01, "score"))
     add("index_sample_tail_saturate_w18", lambda s, d: _shown(_built(s, d, WORKLOADS["w18"], PRODUCT, 5).sample(SEED), WORKLOADS["w18"], "score", "rank"), sql.index_sample("w18", PRODUCT, 5, SEED))
-    add("index_sample_tail_materialize_w18", _tail_materialized, _tail_sql())
-    add("index_sample_tail_proxy_w18", _tail_proxy)
+    add("index_sample_tail_materialize_w18", lambda s, d: _shown(_tail(s, d, 5, "materialize"), WORKLOADS["w18"]), _tail_sql())
+    tables = [f"(SELECT count(*) FROM {t})" for t in ("orders", "lineitem")]  # the least cover: lineitem has no customer
+    proxy = sql.index_sample("w18", PRODUCT, PROXY_CAP, SEED, last=" * ".join(tables))
+    add("index_sample_tail_proxy_w18", lambda s, d: _shown(_tail(s, d, PROXY_CAP, "proxy"), WORKLOADS["w18"], "score", "rank"), proxy)
     add("index_sample_explosive_w06", lambda s, d: _shown(sample_join(specs(s, d, "w06"), PRODUCT, SEED, method="root_local", cap=40, root="b", bulk=True), WORKLOADS["w06"], "score"))
     add("index_sample_explosive_w07", lambda s, d: _shown(ScoreIndex.build(specs(s, d, "w07"), PRODUCT, 40, "nation", store=False).sample(SEED, bulk=True), WORKLOADS["w07"], "score"))
     add("index_sample_explosive_w08k3", lambda s, d: _shown(sample_join(specs(s, d, "w08k3"), PRODUCT, SEED, method="root_local", cap=40, root="a", bulk=True), WORKLOADS["w08k3"], "score"))
-    add("index_sample_grid_w01", lambda s, d: _shown(ScoreIndex.build(specs(s, d, w01), GRID, CAP, "lineitem", store=False).sample(SEED, bulk=True), w01))
+    add("index_sample_grid_w01", lambda s, d: _shown(ScoreIndex.build(specs(s, d, w01), GRID, CAP, "lineitem", store=False).sample(SEED), w01), sql.counted_sample(w01, CAP, SEED, rounded=False, grid=True))
     cyclic, bags = _bags()
     add("index_sample_cyclic_w12", lambda s, d: _shown(ScoreIndex.build(bag_specs(specs(s, d, "w12"), bags, PRODUCT), PRODUCT, CAP, store=False).sample(SEED), cyclic, "score", "rank"), _cyclic_sql(cyclic))
 
@@ -208,26 +209,9 @@ def _beta(s, d) -> DataFrame:
     return metrics.bucket_uniformity(results, weight, F.col("score")).withColumn("beta", F.round("beta", 6))
 
 
-def tail_split(index: ScoreIndex) -> tuple[DataFrame, DataFrame]:
-    """Buckets below the cap, and the last one."""
-    return index.buckets.where(F.col("score") < index.cap), index.buckets.where(F.col("score") == index.cap)
-
-
-def _tail_materialized(s, d) -> DataFrame:
-    """Ranks below the cap through the index; the tail's results are made and toss coins under the tail's ceiling."""
+def _tail(s, d, cap: int, tail: str) -> DataFrame:
     work = WORKLOADS["w18"]
-    index = _built(s, d, work, PRODUCT, 5)
-    below, _ = tail_split(index)
-    head = replace(index, buckets=below).sample(SEED)
-    names = [r.name for r in work.rels]
-    joined = baselines.natural_join(specs(s, d, work))
-    weight = PRODUCT.weight([F.col(f"w_{n}") for n in sorted(names)])
-    from joinpoisson.functions.algebra import score_of
-    from joinpoisson.operators.sampler import result_coin
-
-    score = PRODUCT.combine([score_of(F.col(f"w_{n}"), 5) for n in names], 5)
-    tail = joined.withColumn("weight", weight).where((score == 5) & (F.col("weight") > 0)).where(result_coin(SEED, F.lit(0), names, "naive") < F.col("weight"))
-    return _shown(head, work).unionByName(_shown(tail, work))
+    return sample_join(specs(s, d, work), PRODUCT, SEED, cap=cap, root=work.root, tail=tail)
 
 
 def _tail_sql() -> str:
@@ -237,16 +221,6 @@ def _tail_sql() -> str:
     return f"SELECT {sql.rids(work)}, weight FROM ({head}) WHERE score < 5 UNION ALL ({tail})"
 
 
-def _tail_proxy(s, d) -> DataFrame:
-    """The tail counts as four times the join size; ranks beyond its results are dropped."""
-    work = WORKLOADS["w18"]
-    rows = specs(s, d, work)
-    index = _built(s, d, work, PRODUCT, 5)
-    bound = max(1, min(join_size(rows) * 4, 1 << 40))
-    n = F.when(F.col("score") == index.cap, F.lit(bound).cast("long")).otherwise(F.col("n"))
-    return _shown(replace(index, buckets=index.buckets.withColumn("n", n)).sample(SEED), work, "score")
-
-
 def bag_specs(rows: list[RelationSpec], bags: list[list[str]], algebra: Algebra) -> list[RelationSpec]:
     """A relation for each bag: the join of its members, weighed by the algebra; each weight is in one bag."""
     from joinpoisson.plans.relations import assign_rid

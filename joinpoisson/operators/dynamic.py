@@ -5,7 +5,10 @@ before it. A batch is a set of insertions; after it the state is as if they had
 
 The index keeps, for each node, key and score, the raw count and the count rounded up to a power of two; parents only
 see the rounded one. So an insertion changes a parent only when a rounded count moves, which happens at most as often as
-it can double. Ranks between the raw and the rounded count name no result and are dropped on the way down.
+it can double. Ranks between the raw and the rounded count name no result and are dropped on the way down. A batch's
+change of a node's counts is a sum of joins: its new tuples with the children's counts, and for each child the old
+tuples with that child's moved entries alone. Runs of counts are merged like the digits of a binary counter, so that a
+reader meets about log2(batches) of them; the capacity and the number of tuples are stored with each batch.
 
 The sample adds, for each batch, a sample of the results that the batch makes: relation by relation the join of its new
 tuples with the relations before it (with their new tuples) and behind it (without).
@@ -13,6 +16,7 @@ tuples with the relations before it (with their new tuples) and behind it (witho
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
@@ -77,6 +81,72 @@ class TupleRuns:
         return added
 
 
+@dataclass
+class MessageRuns:
+    """The counts of one node in runs; a run holds the last state of what the batches after `since` up to its own changed.
+    A batch that runs again reads the runs before it only, so it merges the same ones and replaces its own."""
+
+    spark: SparkSession
+    path: str
+
+    def _files(self):
+        top = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(self.path)
+        return top.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()), top
+
+    def chain(self, before: int) -> list[tuple[int, int]]:
+        """(batch, since) of the runs that make up the state before a batch, newest first."""
+        fs, top = self._files()
+        if not fs.exists(top):
+            return []
+        names = [s.getPath().getName() for s in fs.listStatus(top)]
+        runs = sorted((tuple(map(int, n.split("=")[1].split("~"))) for n in names if n.startswith("batch=")), reverse=True)
+        out, top_batch = [], before - 1
+        for batch, since in runs:
+            if batch <= top_batch:
+                out.append((batch, since))
+                top_batch = since
+        return out
+
+    def _where(self, batch: int, since: int) -> str:
+        return f"{self.path}/batch={batch}~{since}"
+
+    def _rows(self, runs: list[tuple[int, int]]) -> DataFrame | None:
+        return self.spark.read.parquet(*[self._where(*r) for r in runs]) if runs else None
+
+    @staticmethod
+    def _latest(rows: DataFrame, groups: list[str]) -> DataFrame:
+        rest = [c for c in rows.columns if c not in groups]
+        return rows.groupBy(*groups).agg(F.max_by(F.struct(*rest), "_batch").alias("_last")).select(*groups, "_last.*")
+
+    def read(self, before: int, groups: list[str]) -> DataFrame | None:
+        runs = self.chain(before)
+        rows = self._rows(runs)
+        return rows if rows is None or len(runs) == 1 else self._latest(rows, groups)
+
+    def write(self, batch: int, rows: DataFrame, groups: list[str], whole: bool = False) -> DataFrame:
+        """Adds a batch's rows, merged with the runs behind it that are no longer than the merged one; whole: the rows
+        are all of the state. Returns the batch's own rows."""
+        merged, since = [], -1
+        if not whole:
+            held = self.chain(batch)
+            since = held[0][0] if held else -1
+            for run in held:
+                if run[0] - run[1] > batch - since:
+                    break
+                merged.append(run)
+                since = run[1]
+        new = rows.withColumn("_batch", F.lit(batch))
+        if merged:
+            new = self._latest(new.unionByName(self._rows(merged)), groups)
+        fs, top = self._files()
+        if fs.exists(top):
+            for s in fs.listStatus(top):
+                if s.getPath().getName().startswith(f"batch={batch}~"):
+                    fs.delete(s.getPath(), True)
+        new.write.parquet(self._where(batch, since))
+        return self.spark.read.schema(new.schema).parquet(self._where(batch, since)).where(F.col("_batch") == batch)
+
+
 def _union(*frames: DataFrame | None) -> DataFrame | None:
     out = None
     for f in frames:
@@ -101,10 +171,16 @@ def delta_joins(state: TupleRuns, batch: int, added: dict[str, DataFrame]) -> li
     return out
 
 
+def delta_seed(seed: int, batch: int, delta: int) -> int:
+    """The seed of one delta join of one batch."""
+    return int(u01_value(seed, "batch", batch, delta) * (1 << 31))
+
+
 @dataclass
 class MaintainedSample:
     """One sample of the join, kept up as tuples come. exact_coins: results toss the coins that the join-first baseline
-    gives them, so that the sample equals the baseline's; else each batch's results are sampled through an index."""
+    gives them, so that the sample equals the baseline's; else each batch's results are sampled through an index, under
+    `cap` as in `sample_join` and a seed of their own (`delta_seed`)."""
 
     spark: SparkSession
     path: str
@@ -112,6 +188,7 @@ class MaintainedSample:
     algebra: Algebra = PRODUCT
     seed: int = 0
     exact_coins: bool = False
+    cap: int | str = "exact"
 
     @property
     def state(self) -> TupleRuns:
@@ -123,8 +200,7 @@ class MaintainedSample:
             if self.exact_coins:
                 got = naive_sample(specs, self.algebra, self.seed)
             else:
-                own = int(u01_value(self.seed, "batch", batch, i) * (1 << 31))
-                got = sample_join(specs, self.algebra, own, root=name)
+                got = sample_join(specs, self.algebra, delta_seed(self.seed, batch, i), cap=self.cap, root=name)
             shown = [a for a in dict.fromkeys(a for s in specs for a in s.attrs)] + [c for n in self.attrs for c in (f"rid_{n}", f"w_{n}")]
             got.select(*shown, "weight").write.mode("overwrite").parquet(f"{self.path}/sample/batch={batch}/delta={i}")
 
@@ -143,10 +219,11 @@ class DynamicIndex:
     path: str
     attrs: dict[str, tuple[str, ...]]
     algebra: Algebra = PRODUCT
-    capacity: int = 1 << 20
+    capacity: int = 1 << 20  # to begin with; what it has grown to is stored with each batch
     root: str | None = None
     rounded: bool = True
     changes: list[tuple[int, str, int]] = field(default_factory=list)
+    seconds: list[tuple[int, float]] = field(default_factory=list)
 
     @property
     def tree(self) -> Node:
@@ -154,109 +231,123 @@ class DynamicIndex:
 
     @property
     def cap(self) -> int:
-        """From the capacity: twice the edge cover number times its logarithm."""
-        return 0 if self.algebra.name == "constant" else max(1, 2 * edge_cover_number(self.attrs) * (self.capacity - 1).bit_length())
+        """As of the last batch."""
+        return self.cap_of(self.size_before(1 << 31)[0])
+
+    def cap_of(self, capacity: int) -> int:
+        """Twice the edge cover number times the logarithm of the capacity."""
+        return 0 if self.algebra.name == "constant" else max(1, 2 * edge_cover_number(self.attrs) * (capacity - 1).bit_length())
 
     @property
     def state(self) -> TupleRuns:
         return TupleRuns(self.spark, self.path, self.attrs)
 
+    def size_before(self, before: int) -> tuple[int, int]:
+        """Capacity and number of tuples as of the batches before the given one."""
+        sizes = TupleRuns(self.spark, f"{self.path}/sizes", self.attrs)
+        runs = [b for b in sizes.batches("all") if b < before]
+        if not runs:
+            return self.capacity, 0
+        row = self.spark.read.parquet(f"{sizes._dir('all')}/batch={runs[-1]}").first()
+        return row["capacity"], row["tuples"]
+
+    def _runs(self, node: Node) -> MessageRuns:
+        return MessageRuns(self.spark, f"{self.path}/messages/{node.name}")
+
     def messages(self, node: Node, before: int) -> DataFrame | None:
         """key, score, raw, n (what the parent sees), places, as of the batches before the given one."""
-        runs = [b for b in TupleRuns(self.spark, f"{self.path}/messages", self.attrs).batches(node.name) if b < before]
-        if not runs:
-            return None
-        rows = None
-        for b in runs:
-            rows = _union(rows, self.spark.read.parquet(f"{self.path}/messages/tuples/{node.name}/batch={b}").withColumn("_v", F.lit(b)))
-        latest = rows.groupBy(*node.key, "score").agg(*[F.max_by(c, "_v").alias(c) for c in ("raw", "n", "places")])
-        return latest.where("raw > 0")
-
-    def _places(self, node: Node, tuples: DataFrame | None, below: dict[str, DataFrame | None]) -> DataFrame | None:
-        """The places of some tuples under the children's messages; None where a child has none."""
+        rows = self._runs(node).read(before, [*node.key, "score"])
+        return None if rows is None else rows.select(*node.key, "score", "raw", "n", "places")
+
+    def _places(self, node: Node, tuples: DataFrame | None, below: dict[str, DataFrame | None], cap: int) -> DataFrame | None:
+        """The places of some tuples under the children's messages; None where a child has none. A message may carry
+        `born`, what a place under it adds to the number of places (1 where it has no such column)."""
         if tuples is None or any(below[c.name] is None for c in node.children):
             return None
-        rows = tuples_of(RelationSpec(node.name, tuples, node.attrs), self.algebra, self.cap)
-        parts, count = [F.col("score")], F.lit(1).cast("long")
+        rows = tuples_of(RelationSpec(node.name, tuples, node.attrs), self.algebra, cap)
+        parts, count, born = [F.col("score")], F.lit(1).cast("long"), F.lit(1).cast("long")
         for c in node.children:
-            m = below[c.name].select(*c.key, F.col("score").alias(f"score_{c.name}"), F.col("n").alias(f"n_{c.name}"), step_width(F.col("raw"), F.col("places")).alias(f"width_{c.name}"))
-            rows = rows.join(m, list(c.key)) if c.key else rows.crossJoin(F.broadcast(m))
+            held = below[c.name]
+            own = F.col("born") if "born" in held.columns else F.lit(1).cast("long")
+            m = held.select(*c.key, F.col("score").alias(f"score_{c.name}"), F.col("n").alias(f"n_{c.name}"), step_width(F.col("raw"), F.col("places")).alias(f"width_{c.name}"), own.alias(f"born_{c.name}"))
+            rows = rows.join(m, list(c.key)) if c.key else rows.crossJoin(F.broadcast(m))  # no key: a row per score
             parts.append(F.col(f"score_{c.name}"))
-            count = count * F.col(f"n_{c.name}")
-        return rows.withColumn("score", self.algebra.combine(parts, self.cap)).withColumn("n", count)
+            count, born = count * F.col(f"n_{c.name}"), born * F.col(f"born_{c.name}")
+        found = rows.withColumn("score", self.algebra.combine(parts, cap)).withColumn("n", count).withColumn("born", born)
+        return found.drop(*[f"born_{c.name}" for c in node.children])
 
     def insert(self, batch: int, new: dict[str, DataFrame]) -> None:
+        begun = time.monotonic()
         added = self.state.add(batch, new)
-        total = sum(t.count() for n in self.attrs if (t := self.state.read(n, batch + 1)) is not None)
-        if total > self.capacity:
-            while self.capacity < total:
-                self.capacity *= 2
-            self._rebuild(batch)
-            return
-        old_below: dict[str, DataFrame | None] = {}
-        new_below: dict[str, DataFrame | None] = {}
+        capacity, tuples = self.size_before(batch)
+        total = tuples + sum(t.count() for t in added.values())
+        grown = max(capacity, 1 << max(0, total - 1).bit_length()) if total > capacity else capacity
+        if grown > capacity:
+            self._rebuild(batch, self.cap_of(grown))
+        else:
+            self._update(batch, added, self.cap_of(capacity))
+        where = TupleRuns(self.spark, f"{self.path}/sizes", self.attrs)._dir("all")
+        self.spark.createDataFrame([(grown, total)], "capacity long, tuples long").coalesce(1).write.mode("overwrite").parquet(f"{where}/batch={batch}")
+        self.capacity = grown
+        self.seconds.append((batch, time.monotonic() - begun))
+
+    def _update(self, batch: int, added: dict[str, DataFrame], cap: int) -> None:
+        before: dict[str, DataFrame | None] = {}
+        after: dict[str, DataFrame | None] = {}
         moved: dict[str, DataFrame | None] = {}
         for node in reversed(self.tree.walk()):
-            before = self.messages(node, batch)
-            fresh, old = added.get(node.name), self.state.read(node.name, batch)
-            touched = None
-            if old is not None:
-                for c in node.children:
-                    if moved[c.name] is not None:
-                        keys = moved[c.name].select(*c.key).distinct()
-                        touched = _union(touched, old.join(keys, list(c.key), "left_semi") if c.key else old)
-                touched = None if touched is None else touched.dropDuplicates(list(node.attrs))
-            gain = self._places(node, _union(fresh, touched), new_below)
-            loss = self._places(node, touched, old_below) if touched is not None else None
-            signed = _union(None if gain is None else gain.select(*node.key, "score", "n", F.lit(1).cast("long").alias("places")), None if loss is None else loss.select(*node.key, "score", (-F.col("n")).alias("n"), F.lit(-1).cast("long").alias("places")))
-            old_below[node.name], new_below[node.name], moved[node.name] = before, before, None
-            if signed is None:
+            groups, own = [*node.key, "score"], self._runs(node)
+            held = self.messages(node, batch)
+            parts = [self._places(node, added.get(node.name), after, cap)]
+            old = self.state.read(node.name, batch)
+            for i, c in enumerate(node.children):  # children before c as they are now, those behind it as they were
+                if old is not None and moved[c.name] is not None:
+                    now = {x.name: moved[x.name] if j == i else after[x.name] if j < i else before[x.name] for j, x in enumerate(node.children)}
+                    parts.append(self._places(node, old, now, cap))
+            change = _union(*[None if p is None else p.select(*groups, "n", "born") for p in parts])
+            before[node.name], after[node.name], moved[node.name] = held, held, None
+            if change is None:
                 continue
-            delta = signed.groupBy(*node.key, "score").agg(F.sum("n").alias("d"), F.sum("places").alias("dp")).where("d != 0 or dp != 0")
-            groups = [*node.key, "score"]
-            if before is None:
-                after = delta.select(*groups, F.col("d").alias("raw"), F.lit(0).cast("long").alias("was"), F.col("dp").alias("places"))
+            delta = change.groupBy(*groups).agg(F.sum("n").alias("_d"), F.sum("born").alias("_dp")).where("_d != 0 or _dp != 0")
+            none = F.lit(0).cast("long")
+            if held is None:
+                rows = delta.select(*groups, F.col("_d").alias("raw"), none.alias("was"), F.col("_dp").alias("places"))
             else:
-                after = delta.join(before, groups, "left").select(*groups, (F.coalesce("raw", F.lit(0)) + F.col("d")).alias("raw"), F.coalesce("n", F.lit(0)).cast("long").alias("was"), (F.coalesce("places", F.lit(0)) + F.col("dp")).alias("places"))
-            seen = round_up_pow2(F.col("raw")) if self.rounded else F.col("raw")
-            where = f"{self.path}/messages/tuples/{node.name}/batch={batch}"
-            after.withColumn("n", seen).write.mode("overwrite").parquet(where)
-            run = self.spark.read.parquet(where)
-            moved[node.name] = run.where("n != was")
-            self.changes.append((batch, node.name, moved[node.name].count()))
-            new_below[node.name] = self.messages(node, batch + 1)
-
-    def _rebuild(self, batch: int) -> None:
+                rows = delta.join(held, groups, "left").select(*groups, (F.coalesce("raw", none) + F.col("_d")).alias("raw"), F.coalesce("n", none).alias("was"), (F.coalesce("places", none) + F.col("_dp")).alias("places"))
+            run = own.write(batch, rows.withColumn("n", self._seen()), groups)
+            here = run.where("n != was")
+            self.changes.append((batch, node.name, here.count()))
+            moved[node.name] = here.select(*groups, "raw", "places", (F.col("n") - F.col("was")).alias("n"), F.when(F.col("was") == 0, 1).otherwise(0).cast("long").alias("born"))
+            after[node.name] = self.messages(node, batch + 1)
+
+    def _seen(self):
+        return round_up_pow2(F.col("raw")) if self.rounded else F.col("raw")
+
+    def _rebuild(self, batch: int, cap: int) -> None:
         """All messages anew, from all tuples: after the capacity, and so the cap, has grown."""
         below: dict[str, DataFrame | None] = {}
         for node in reversed(self.tree.walk()):
-            gone = self.messages(node, batch)
-            places = self._places(node, self.state.read(node.name, batch + 1), below)
-            where = f"{self.path}/messages/tuples/{node.name}/batch={batch}"
-            rows = None
-            if places is not None:
-                sums = places.groupBy(*node.key, "score").agg(F.sum("n").alias("raw"), F.count("*").alias("places"))
-                rows = sums.withColumn("n", round_up_pow2(F.col("raw")) if self.rounded else F.col("raw")).withColumn("was", F.lit(0).cast("long"))
-            if gone is not None:
-                groups = [*node.key, "score"]
-                empty = gone.select(*groups, F.lit(0).cast("long").alias("raw"), F.lit(0).cast("long").alias("places"), F.lit(0).cast("long").alias("n"), F.col("n").alias("was"))
-                rows = empty if rows is None else rows.unionByName(empty.join(rows.select(*groups), groups, "left_anti"))
+            groups = [*node.key, "score"]
+            places = self._places(node, self.state.read(node.name, batch + 1), below, cap)
             below[node.name] = None
-            if rows is not None:
-                rows.write.mode("overwrite").parquet(where)
+            if places is not None:
+                sums = places.groupBy(*groups).agg(F.sum("n").alias("raw"), F.count("*").alias("places"))
+                rows = sums.withColumn("n", self._seen()).withColumn("was", F.lit(0).cast("long")).select(*groups, "raw", "was", "places", "n")
+                self._runs(node).write(batch, rows, groups, whole=True)
                 below[node.name] = self.messages(node, batch + 1)
 
     def index(self, version: int) -> ScoreIndex:
         """The index as of the given batch. Its buckets hold ranks without a result where counts are rounded."""
+        cap = self.cap_of(self.size_before(version + 1)[0])
         below = {n.name: self.messages(n, version + 1) for n in self.tree.walk()}
         tables = {}
         for node in self.tree.walk():
-            places = self._places(node, self.state.read(node.name, version + 1), below)
+            places = self._places(node, self.state.read(node.name, version + 1), below, cap)
             if places is None:
                 raise ValueError("no results yet")
-            tables[node.name] = cut(intervals_of(node, places), "dynamic")
+            tables[node.name] = cut(intervals_of(node, places.drop("born")), "dynamic")
         buckets = cut(buckets_of(tables[self.tree.name], self.algebra, len(self.attrs)), "buckets")
-        return ScoreIndex(self.tree, self.algebra, self.cap, tables, buckets, self.tree.names)
+        return ScoreIndex(self.tree, self.algebra, cap, tables, buckets, self.tree.names)
 
     def sample(self, version: int, seed: int, draw: int = 0, draws: int = 1, bulk: bool = False) -> DataFrame:
         return self.index(version).sample(seed, draw, draws, bulk=bulk)

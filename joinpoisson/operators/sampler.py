@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -9,7 +11,8 @@ from joinpoisson.functions.algebra import GRID, PRODUCT, Algebra
 from joinpoisson.functions.rng import u01
 from joinpoisson.operators.index import ScoreIndex
 from joinpoisson.operators.ranks import candidate_ranks
-from joinpoisson.plans.relations import RelationSpec
+from joinpoisson.plans.jointree import size_bound
+from joinpoisson.plans.relations import RelationSpec, schemas
 
 
 def result_coin(seed: int, draw, names: list[str], purpose: str = "keep"):
@@ -28,10 +31,11 @@ def sample_index(index: ScoreIndex, seed: int, draw: int = 0, draws: int = 1, ga
     return found.withColumn("weight", weight).where(keep).drop("_p")
 
 
-def sample_join(specs: list[RelationSpec], algebra: Algebra = PRODUCT, seed: int = 0, draw: int = 0, method: str = "batched", cap: int | str = "exact", root: str | None = None, bulk: bool = False) -> DataFrame:
+def sample_join(specs: list[RelationSpec], algebra: Algebra = PRODUCT, seed: int = 0, draw: int = 0, method: str = "batched", cap: int | str = "exact", root: str | None = None, bulk: bool = False, tail: str = "saturate") -> DataFrame:
     """One draw. batched: the tables stay in one lazy plan. index: they are written first. auto: batched when there are
     more candidates than tuples / log2(tuples). root_local: root tuples draw their own results, no ranks over the root.
-    grid: one part per combination of classes."""
+    grid: one part per combination of classes. tail (batched, index, auto): what becomes of the cap's scores, see
+    `sample_with_tail`."""
     if method == "root_local":
         from joinpoisson.operators.rootlocal import sample_root_local
 
@@ -40,7 +44,29 @@ def sample_join(specs: list[RelationSpec], algebra: Algebra = PRODUCT, seed: int
         return ScoreIndex.build(specs, GRID, cap, root).sample(seed, draw, bulk=bulk)
     if method == "auto":
         method = choose_method(specs, algebra, cap, root)
-    return ScoreIndex.build(specs, algebra, cap, root, store=method == "index").sample(seed, draw, bulk=bulk)
+    index = ScoreIndex.build(specs, algebra, cap, root, store=method == "index")
+    return sample_with_tail(index, specs, seed, draw, bulk, tail)
+
+
+def sample_with_tail(index: ScoreIndex, specs: list[RelationSpec], seed: int, draw: int = 0, bulk: bool = False, tail: str = "saturate") -> DataFrame:
+    """A draw whose last bucket, of all scores from the cap on, is treated in one of three ways. saturate: it is counted
+    and drawn from like the others. materialize: its results are made (they alone) and each tosses a coin of its own.
+    proxy: its size is not counted but taken to be the bound that the relations' sizes give the join; ranks behind its
+    results are dropped in the descent. The bound costs candidates: choose a cap whose ceiling times the bound is small."""
+    if tail == "saturate":
+        return index.sample(seed, draw, bulk=bulk)
+    last = F.col("score") == index.cap
+    if tail == "proxy":
+        bound = size_bound(schemas(specs), {s.name: s.df.count() for s in specs})
+        if bound >= 1 << 62:
+            raise ValueError("the bound on the join is beyond what ranks can hold")
+        return replace(index, buckets=index.buckets.withColumn("n", F.when(last, F.lit(bound).cast("long")).otherwise(F.col("n")))).sample(seed, draw, bulk=bulk)
+    if tail != "materialize":
+        raise ValueError(f"no tail variant {tail}")
+    head = replace(index, buckets=index.buckets.where(~last)).sample(seed, draw, bulk=bulk)
+    weight = index.algebra.weight([F.col(f"w_{n}") for n in sorted(index.names)])
+    made = index.enumerate([index.cap]).withColumns({"draw": F.lit(draw), "weight": weight})
+    return head.unionByName(made.where(result_coin(seed, F.col("draw"), index.names, "naive") < F.col("weight")))
 
 
 def choose_method(specs: list[RelationSpec], algebra: Algebra, cap: int | str = "exact", root: str | None = None) -> str:
