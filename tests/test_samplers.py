@@ -13,11 +13,12 @@ from joinpoisson.functions import algebra as al
 from joinpoisson.functions.rng import geometric_value, mixed_uniforms, truncated_geometric_value, u01, u01_value
 from joinpoisson.operators import baselines, explicit, metrics
 from joinpoisson.operators.access import descend
-from joinpoisson.operators.dynamic import DynamicIndex, MaintainedSample, UnsupportedOperation
+from joinpoisson.operators.dynamic import DynamicIndex, MaintainedSample, MessageRuns, UnsupportedOperation
 from joinpoisson.operators.estimators import ht_avg, ht_count, ht_sum
 from joinpoisson.operators.index import ScoreIndex, choose_cap, join_size, reduce_relations
 from joinpoisson.operators.ranks import candidate_ranks
 from joinpoisson.operators.sampler import sample_join
+from joinpoisson.plans.jointree import size_bound
 from joinpoisson.plans.relations import RelationSpec, assign_rid, validate_weights
 from joinpoisson.plans.storage import running_sum, shared_dir
 from joinpoisson.sources.workloads import specs
@@ -293,3 +294,44 @@ def test_a_draw_on_a_stored_index_moves_its_candidates_only(spark, small):
                         break
             assert not any("Exchange" in x or "Aggregate" in x for x in above), "\n".join(above)
     assert any("steps_" in x and "Scan parquet" in x for x in lines)
+
+
+def test_runs_of_counts_merge_like_a_binary_counter(spark):
+    runs, state = MessageRuns(spark, f"{shared_dir(spark)}/{uuid.uuid4().hex}"), {}
+    lengths = []
+    for b in range(6):
+        rows = [(k, 0, 10 * b + k) for k in (b % 3, 3 + b)]
+        state |= {r[0]: r[2] for r in rows}
+        for _ in range(1 + (b == 4)):  # a batch that runs again replaces its run
+            own = runs.write(b, spark.createDataFrame(rows, "k int, score int, raw long"), ["k", "score"])
+        assert sorted(x.k for x in own.collect()) == sorted(r[0] for r in rows)
+        assert {x.k: x.raw for x in runs.read(b + 1, ["k", "score"]).collect()} == state
+        lengths.append(len(runs.chain(b + 1)))
+    assert lengths == [1, 1, 2, 1, 2, 2]
+
+
+def test_a_reopened_index_keeps_its_capacity(spark):
+    rows = star(spark)
+    path, attrs = f"{shared_dir(spark)}/{uuid.uuid4().hex}", {r.name: r.attrs for r in rows}
+    log, insert = insertion_log(rows), lambda b, new: DynamicIndex(spark, path, attrs, capacity=4, root="s").insert(b, new)
+    in_batches(log, 2, attrs, insert)
+    held = DynamicIndex(spark, path, attrs, capacity=4, root="s")
+    total = len(R) + len(S) + len(T)
+    assert held.size_before(2)[1] == total and held.cap == held.cap_of(held.size_before(2)[0]) > held.cap_of(4)
+    assert {(x.rid_r, x.rid_s, x.rid_t) for x in held.index(1).enumerate().collect()} == set(results())
+
+
+def test_the_bound_on_a_join_is_its_least_cover():
+    assert size_bound({"c": ("ck",), "o": ("ok", "ck"), "l": ("ok", "rid")}, {"c": 10, "o": 100, "l": 400}) == 4_000
+    assert size_bound({"c": ("ck",), "o": ("ok", "ck"), "l": ("ok", "rid")}, {"c": 10, "o": 1000, "l": 400}) == 4_000
+
+
+def test_tail_variants(spark):
+    rows, want = star(spark), results()
+    with pytest.raises(ValueError):
+        sample_join(rows, seed=1, cap=3, root="r", tail="other")
+    for tail in ("materialize", "proxy"):
+        got = sample_join(rows, seed=1, cap=3, root="r", tail=tail).collect()
+        assert len({(x.rid_r, x.rid_s, x.rid_t) for x in got}) == len(got)
+        for x in got:
+            assert x.weight == pytest.approx(math.prod(want[x.rid_r, x.rid_s, x.rid_t]))
