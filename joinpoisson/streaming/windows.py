@@ -13,11 +13,10 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from joinpoisson.functions.rng import u01
 from joinpoisson.plans.storage import shared_dir
 
-
 def slices(spark: SparkSession, df: DataFrame, parts: int, order: str) -> str:
     """df as files in order of a column, a range each, for a file stream to read one after the other."""
     where = f"{shared_dir(spark)}/stream-in-{uuid.uuid4().hex}"
-    bounds = df.stat.approxQuantile(order, [i / parts for i in range(1, parts)], 0.0) if parts > 1 else []
+    bounds = df.stat.approxQuantile(order, [i / parts for i in range(1, parts)], 0.001) if parts > 1 else []  # exact ones hold the column on the driver
     part = sum((F.col(order) > b).cast("int") for b in bounds) if bounds else F.lit(0)
     for i in range(parts):
         df.where(part == i).coalesce(1).write.mode("append").parquet(where)
@@ -29,17 +28,21 @@ def read(spark: SparkSession, where: str, schema) -> DataFrame:
 
 
 def finish(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there, into a table in the shared folder (append) or in memory (complete, update)."""
+    """Run a stream over what is there, into a table in the shared folder: of each batch (complete: of the last one, which
+    has all rows; its forerunner goes once a batch is written). Nothing of the result is on the driver."""
     spark = stream.sparkSession
-    name = f"out_{uuid.uuid4().hex}"
-    home = shared_dir(spark)
-    if mode == "append":
-        query = stream.writeStream.format("parquet").option("path", f"{home}/{name}").option("checkpointLocation", f"{home}/{name}-log").trigger(availableNow=True).start()
-        query.awaitTermination()
-        return spark.read.schema(stream.schema).parquet(f"{home}/{name}")
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{home}/{name}-log").trigger(availableNow=True).start()
+    out = f"{shared_dir(spark)}/out_{uuid.uuid4().hex}"
+    files = spark._jvm.org.apache.hadoop.fs.Path(out).getFileSystem(spark._jsparkSession.sessionState().newHadoopConf())
+
+    def write(rows: DataFrame, batch: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{out}/batch={batch}")
+        if mode == "complete" and batch:
+            files.delete(spark._jvm.org.apache.hadoop.fs.Path(f"{out}/batch={batch - 1}"), True)
+
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{out}-log").trigger(availableNow=True)
+    query = (writer.format("parquet").option("path", out) if mode == "append" else writer.foreachBatch(write)).start()
     query.awaitTermination()
-    return spark.table(name)
+    return spark.read.schema(stream.schema).parquet(out).select(*stream.columns)
 
 
 def tumbling(events: DataFrame, width: str = "1 hour") -> DataFrame:
