@@ -13,6 +13,7 @@ from pyspark.sql.types import DoubleType, LongType
 from joinpoisson.catalogue.registry import add
 from joinpoisson.functions.algebra import score_sql
 from joinpoisson.functions.rng import u01_sql
+from joinpoisson.operators.explicit import element_at_rank, placed
 from joinpoisson.sources.surface import RankSource, register_sql
 
 SIZE = "SELECT p_partkey, CAST(p_size * p_size + 1 AS BIGINT) AS y FROM part"
@@ -93,10 +94,17 @@ def _register() -> None:
     add("sql_udf_score", sql_function, f"SELECT {score_sql('l_quantity / 50.0e0', 40)} AS score, CAST(count(*) AS BIGINT) AS n FROM lineitem GROUP BY 1")
 
     def source(s, d):
+        """The orders at the ranks that the source draws of as many as there are."""
         s.dataSource.register(RankSource)
-        return s.read.format("skip_ranks").options(n="10000", p="0.01", seed="5", chunks="4").load()
-
-    add("datasource_skip_ranks", source)
+        rows = placed(s.read.parquet(f"{d}/orders.parquet").select("o_orderkey"), F.lit("all"), "o_orderkey")
+        ranks = s.read.format("skip_ranks").options(n=str(rows.count()), p="0.01", seed="5", chunks="4").load()
+        return element_at_rank(rows, ranks.withColumn("part", F.lit("all")).hint("merge")).select("rank", "o_orderkey")
+
+    drawn = u01_sql("5", "'source'", "chunk", "turn")
+    add("datasource_skip_ranks", source, f"""WITH e AS (SELECT o_orderkey, row_number() OVER (ORDER BY o_orderkey) AS rank, count(*) OVER () AS n FROM orders), s AS (SELECT max(n) AS n FROM e),
+    c AS (SELECT n, chunk, n * chunk // 4 AS begun, n * (chunk + 1) // 4 AS ended FROM s, range(0, 4) r(chunk)), t AS (SELECT *, unnest(range(1, ended - begun + 2)) AS turn FROM c),
+    g AS (SELECT *, CAST(floor(least(CAST(n AS DOUBLE), ln({drawn}) / ln(0.99e0))) AS BIGINT) AS gap FROM t), p AS (SELECT *, begun + sum(gap + 1) OVER (PARTITION BY chunk ORDER BY turn) AS place FROM g)
+    SELECT e.rank, o_orderkey FROM e JOIN p ON e.rank = p.place WHERE place <= ended""")
 
 
 _register()
